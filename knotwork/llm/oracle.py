@@ -6,5 +6,29 @@ WITH d AS (
   SELECT doc_id, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g') AS t FROM documents
 ), g AS (SELECT t, min(doc_id) AS keep_id, count(*) AS group_size FROM d GROUP BY t)
 SELECT doc_id, keep_id, group_size, doc_id = keep_id AS kept, sha256(t) AS text_sha256 FROM d JOIN g USING (t)
+""",
+    "op9_chosen_path_dedup": r"""
+WITH RECURSIVE d AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(
+           translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w
+  FROM documents
+), s AS (
+  SELECT DISTINCT doc_id, unnest(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+           ELSE list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) END) AS g
+  FROM d
+), n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+k AS (SELECT md5(string_agg(g, '|' ORDER BY g)) AS k, doc_id FROM s GROUP BY doc_id),
+r AS (SELECT k, min(doc_id) AS rep FROM k GROUP BY k),
+sr AS (SELECT s.doc_id, s.g FROM s JOIN r ON s.doc_id = r.rep),
+i AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS i FROM sr a JOIN sr b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2),
+l AS (
+  SELECT a, b FROM i JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * i >= 75 * (x.n + y.n - i)
+), e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+c(v, m) AS (
+  SELECT rep, rep FROM r UNION SELECT e.b, c.m FROM c JOIN e ON e.a = c.v WHERE c.m < e.b
+), m AS (SELECT v, min(m) AS component_id FROM c GROUP BY v)
+SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(m.component_id, d.doc_id) AS component_id,
+       d.doc_id = coalesce(m.component_id, d.doc_id) AS kept
+FROM d LEFT JOIN n ON n.doc_id = d.doc_id LEFT JOIN k ON k.doc_id = d.doc_id LEFT JOIN r ON r.k = k.k LEFT JOIN m ON m.v = r.rep
 """,
 }

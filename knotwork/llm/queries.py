@@ -7,7 +7,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, packing, sharding, token_blocks
+from . import exact_dedup, minhash_join, packing, sharding, token_blocks
 from .common import table
 
 
@@ -24,10 +24,14 @@ def op6_cuckoo_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.classify(table(spark, sf_dir, "documents"))
 
 
+def op9_chosen_path_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash_join.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op10_token_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_blocks.round_trip(table(spark, sf_dir, "documents"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op3_best_fit_packing, op5_balanced_sharding, op6_cuckoo_exact_dedup, op10_token_blocks)
+    f.__name__: f for f in (op3_best_fit_packing, op5_balanced_sharding, op6_cuckoo_exact_dedup, op9_chosen_path_dedup, op10_token_blocks)
 }

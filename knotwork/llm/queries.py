@@ -7,15 +7,23 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, minhash_join, packing, sharding, token_blocks
+from . import exact_dedup, license_scan, minhash_join, packing, quality, sharding, token_blocks
 from .common import table
 
 
+def op1_fuzzy_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan(table(spark, sf_dir, "documents")).drop("spans")
+
+
 def op3_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     packed = packing.pack_documents(table(spark, sf_dir, "documents"))
     return packed.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
+def op4_importance_resampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.resample(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op5_balanced_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_rows(table(spark, sf_dir, "documents")).drop("label")
 
@@ -33,5 +41,7 @@ def op10_token_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op3_best_fit_packing, op5_balanced_sharding, op6_cuckoo_exact_dedup, op9_chosen_path_dedup, op10_token_blocks)
+    f.__name__: f for f in (
+        op1_fuzzy_license_scan, op3_best_fit_packing, op4_importance_resampling, op5_balanced_sharding, op6_cuckoo_exact_dedup, op9_chosen_path_dedup, op10_token_blocks,
+    )
 }

@@ -30,5 +30,21 @@ c(v, m) AS (
 SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(m.component_id, d.doc_id) AS component_id,
        d.doc_id = coalesce(m.component_id, d.doc_id) AS kept
 FROM d LEFT JOIN n ON n.doc_id = d.doc_id LEFT JOIN k ON k.doc_id = d.doc_id LEFT JOIN r ON r.k = k.k LEFT JOIN m ON m.v = r.rep
+""",
+    "op2_pq_vector_dedup": r"""
+WITH RECURSIVE v AS (
+  SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS e FROM embeddings
+), ok AS (
+  SELECT * FROM v WHERE label IS NOT NULL AND e IS NOT NULL AND len(e) > 0
+    AND len(list_filter(e, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(e, lambda x: x <> 0)) > 0
+), l AS (
+  SELECT a.vec_id AS a, b.vec_id AS b FROM ok a JOIN ok b ON a.label = b.label AND a.vec_id <> b.vec_id AND len(a.e) = len(b.e)
+  WHERE list_cosine_similarity(a.e, b.e) >= 0.98
+), n AS (SELECT a, count(*) AS n_links FROM l GROUP BY a),
+c(x, m) AS (
+  SELECT a, a FROM n UNION SELECT l.b, c.m FROM c JOIN l ON l.a = c.x WHERE c.m < l.b
+), m AS (SELECT x, min(m) AS m FROM c GROUP BY x)
+SELECT v.vec_id, coalesce(n.n_links, 0) AS n_links, coalesce(m.m, v.vec_id) AS component_id, v.vec_id = coalesce(m.m, v.vec_id) AS kept
+FROM v LEFT JOIN n ON n.a = v.vec_id LEFT JOIN m ON m.x = v.vec_id
 """,
 }

@@ -7,7 +7,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, license_scan, minhash_join, packing, quality, sharding, token_blocks
+from . import exact_dedup, language_id, license_scan, minhash_join, packing, quality, sharding, token_blocks, vector_dedup
 from .common import table
 
 
@@ -15,6 +15,10 @@ def op1_fuzzy_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan(table(spark, sf_dir, "documents")).drop("spans")
 
 
+def op2_pq_vector_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vector_dedup.near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op3_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     packed = packing.pack_documents(table(spark, sf_dir, "documents"))
     return packed.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
@@ -32,6 +36,11 @@ def op6_cuckoo_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.classify(table(spark, sf_dir, "documents"))
 
 
+def op7_byte_cnn_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return language_id.predict(docs, language_id.train(docs))
+
+
 def op9_chosen_path_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash_join.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -42,6 +51,6 @@ def op10_token_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f for f in (
-        op1_fuzzy_license_scan, op3_best_fit_packing, op4_importance_resampling, op5_balanced_sharding, op6_cuckoo_exact_dedup, op9_chosen_path_dedup, op10_token_blocks,
+        op1_fuzzy_license_scan, op2_pq_vector_dedup, op3_best_fit_packing, op4_importance_resampling, op5_balanced_sharding, op6_cuckoo_exact_dedup, op7_byte_cnn_language, op9_chosen_path_dedup, op10_token_blocks,
     )
 }

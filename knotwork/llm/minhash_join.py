@@ -10,7 +10,10 @@ Documents are sets of five-word shingles; two are linked when 100 * intersection
   probability 0.88 at least at any depth (the extinction probability q solves
   q = (1 - s + s q)**2); six independent trees miss fewer than 4 in a million.
 * A node of at most ``limit`` members is compared exhaustively on its sketches; a
-  larger one branches on. What is still large at ``depth`` is compared in blocks.
+  larger one branches on. A large node that kept more than ``dense`` of the node
+  above it holds texts that are alike on average: branching no longer separates
+  them, so it is compared exhaustively too, block against block. So is what is
+  still large at ``depth``.
 * Sketch matches (below the threshold by four standard deviations) only bundle
   representatives into tentative clusters. A cluster's whole texts then meet once,
   in blocks of bounded size, and links are confirmed on full shingle sets, most
@@ -75,8 +78,9 @@ def _matrix(column: pa.Array, dtype: str, size: int) -> np.ndarray:
 
 
 def _branch(rows: DataFrame, seeds: list[int], keep: str) -> DataFrame:
-    """Rows (rep, mins[, node]) to their children (node, rep). Without a node, the
-    trees' roots are the seeds; else every node branches by places it names."""
+    """Rows (rep, mins[, node, members]) to their children (node, rep, above).
+    Without a node, the trees' roots are the seeds; else every node branches by
+    places it names, and ``above`` is the size of the node that branched."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -89,9 +93,10 @@ def _branch(rows: DataFrame, seeds: list[int], keep: str) -> DataFrame:
                 here = mix((parent if keep else np.zeros(len(mins), np.uint64)) + U64(seed))
                 place = (here % U64(SIZE)).astype(np.int64)
                 node = mix(here ^ mix(mins[np.arange(len(mins)), place] + U64(0x9E3779B97F4A7C15)))
-                yield pa.RecordBatch.from_arrays([pa.array(node.view(np.int64)), reps], ["node", "rep"])
+                above = b.column(3) if keep else pa.nulls(len(mins), pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(node.view(np.int64)), reps, above], ["node", "rep", "above"])
 
-    return rows.mapInArrow(run, "node long, rep long")
+    return rows.mapInArrow(run, "node long, rep long, above long")
 
 
 def _tentative(rows: DataFrame, least: int) -> DataFrame:
@@ -149,7 +154,7 @@ def _cells(rows: DataFrame, key: str, blocks: str) -> DataFrame:
     return spread.withColumn("cell", F.xxhash64(key, F.least("block", "_o"), F.greatest("block", "_o"))).drop("_o")
 
 
-def candidates(reps: DataFrame, trees: int = 6, branches: int = 2, limit: int = 1024, depth: int = 5, least: int = 76) -> DataFrame:
+def candidates(reps: DataFrame, trees: int = 6, branches: int = 2, limit: int = 1024, depth: int = 5, least: int = 76, dense: float = 0.4) -> DataFrame:
     """Tentative links between representatives (rep, mins, sketch)."""
     spark = reps.sparkSession
     wide = int(spark.conf.get("spark.sql.shuffle.partitions"))
@@ -159,16 +164,17 @@ def candidates(reps: DataFrame, trees: int = 6, branches: int = 2, limit: int =
     for d in range(1, depth + 1):
         sizes = level.groupBy("node").agg(F.count("*").alias("members")).where("members > 1")
         level = stored(level.join(sizes, "node"), "nodes")
-        last = d == depth
-        now = level if last else level.where(F.col("members") <= limit)
-        cells = _cells(now.withColumn("blocks", F.ceil(F.col("members") / limit)), "node", "blocks") if last else now.withColumnRenamed("node", "cell")
+        done = F.col("members") <= limit
+        if d > 1:
+            done = done | (F.col("members") > dense * F.col("above")) | F.lit(d == depth)
+        cells = _cells(level.where(done).withColumn("blocks", F.ceil(F.col("members") / limit)), "node", "blocks")
         cells = cells.select("cell", "rep").join(reps.select("rep", "sketch"), "rep")
         found = _tentative(cells.repartition(wide, "cell").sortWithinPartitions("cell"), least)
         out = stored(found, "tentative") if out is None else stored(out.unionByName(found).distinct(), "tentative")
-        big = level.where(F.col("members") > limit)
-        if last or big.isEmpty():
+        big = level.where(~done)
+        if d == depth or big.isEmpty():
             return out
-        grown = big.join(reps.select("rep", "mins"), "rep").select("rep", "mins", "node")
+        grown = big.join(reps.select("rep", "mins"), "rep").select("rep", "mins", "node", "members")
         level = _branch(grown, [31 + k for k in range(branches)], "node")
     return out
 

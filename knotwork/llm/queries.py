@@ -7,7 +7,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, language_id, license_scan, minhash_join, packing, quality, sharding, token_blocks, vector_dedup
+from . import exact_dedup, language_id, license_scan, merge_dropout, minhash_join, packing, quality, sharding, token_blocks, vector_dedup
 from .common import table
 
 
@@ -41,6 +41,10 @@ def op7_byte_cnn_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.predict(docs, language_id.train(docs))
 
 
+def op8_merge_dropout_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return merge_dropout.round_trip(table(spark, sf_dir, "documents"))
+
+
 def op9_chosen_path_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash_join.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -51,6 +55,7 @@ def op10_token_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f for f in (
-        op1_fuzzy_license_scan, op2_pq_vector_dedup, op3_best_fit_packing, op4_importance_resampling, op5_balanced_sharding, op6_cuckoo_exact_dedup, op7_byte_cnn_language, op9_chosen_path_dedup, op10_token_blocks,
+        op1_fuzzy_license_scan, op2_pq_vector_dedup, op3_best_fit_packing, op4_importance_resampling, op5_balanced_sharding, op6_cuckoo_exact_dedup, op7_byte_cnn_language,
+        op8_merge_dropout_codec, op9_chosen_path_dedup, op10_token_blocks,
     )
 }

@@ -259,6 +259,7 @@ def classify(docs: DataFrame, per_bucket: int = 50_000) -> DataFrame:
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
-    """The documents whose id is their group's smallest, with all their columns."""
-    kept = classify(docs).where("kept").select(F.col("doc_id").alias("_kept"))
-    return docs.join(kept, docs["doc_id"] == kept["_kept"], "left_semi")
+    """The document with its group's smallest id, with all its columns; one of
+    rows that repeat that id. Rows with a null doc_id do not stay."""
+    kept = classify(docs).where("kept").select(F.col("doc_id").alias("_kept")).distinct()
+    return docs.join(kept, docs["doc_id"] == kept["_kept"], "left_semi").dropDuplicates(["doc_id"])

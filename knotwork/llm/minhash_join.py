@@ -273,6 +273,7 @@ def near_duplicates(docs: DataFrame, least: int = 76, **how) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, **how) -> DataFrame:
-    """One document of each near-duplicate group, with all its columns."""
-    kept = near_duplicates(docs, **how).where("kept").select(F.col("doc_id").alias("_kept"))
-    return docs.join(kept, docs["doc_id"] == kept["_kept"], "left_semi")
+    """One document of each near-duplicate group (the smallest id; one of rows that
+    repeat it), with all its columns. Rows with a null doc_id do not stay."""
+    kept = near_duplicates(docs, **how).where("kept").select(F.col("doc_id").alias("_kept")).distinct()
+    return docs.join(kept, docs["doc_id"] == kept["_kept"], "left_semi").dropDuplicates(["doc_id"])

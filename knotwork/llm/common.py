@@ -2,70 +2,22 @@
 
 * ``documents``/``pick``: column-pruned views that tolerate extra columns, so a
   clashing name in the caller's table can never reach an operator's plan.
-* ``Scratch``: tables written below the cluster's shared ``spark.checkpoint.dir``.
-  They cut lineage (an executor loss re-reads files instead of recomputing a
-  chain of Python stages) and are only read back through Spark.
-* ``with_global_index``: gapless row numbers from a range sort plus per-partition
-  offsets; never a window over one partition.
+* ``stored``, ``with_global_index``: the library's tables in the shared folder and
+  its distributed row numbers, under the names the operators use.
+* ``runs``: groups of a sorted stream of Arrow batches.
 """
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_made: dict[str, SparkSession] = {}
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``, or a temporary
-    one where the session names none (single-machine tests)."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named
-    own = spark.conf.get("knotwork.scratch", None)
-    if not own:
-        own = tempfile.mkdtemp(prefix="knotwork-")
-        spark.conf.set("knotwork.scratch", own)
-    return own
-
-
-def new_path(spark: SparkSession, name: str) -> str:
-    path = f"{shared_dir(spark).rstrip('/')}/knotwork/{name}-{uuid.uuid4().hex}"
-    _made[path] = spark
-    return path
-
-
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` once to the shared folder and read it back (same schema)."""
-    spark = df.sparkSession
-    path = new_path(spark, name)
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def release(spark: SparkSession | None = None) -> None:
-    """Delete the scratch tables of a session (all sessions by default). Call it
-    once the results that read them have been consumed."""
-    for path, owner in list(_made.items()):
-        if spark is None or owner is spark:
-            try:
-                jvm = owner._jvm
-                where = jvm.org.apache.hadoop.fs.Path(path)
-                where.getFileSystem(owner._jsparkSession.sessionState().newHadoopConf()).delete(where, True)
-            except Exception:  # the JVM may be gone at interpreter exit
-                pass
-            _made.pop(path, None)
-
-
-atexit.register(release)
+from ..scratch import new_path, release, stored, with_global_index
 
+__all__ = ["documents", "new_path", "partitions_for", "pick", "release", "runs", "stored", "table", "utf8", "with_global_index"]
 
 def pick(df: DataFrame, **types: str) -> DataFrame:
     """Exactly the named columns, cast; a column that is missing is null."""
@@ -86,42 +38,11 @@ def utf8(batch: pa.RecordBatch, name: str = "text") -> list:
     return batch.column(batch.schema.get_field_index(name)).cast(pa.large_binary()).to_pylist()
 
 
-def batches_of(columns: dict[str, list], schema: pa.Schema) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(columns[f.name], type=f.type) for f in schema], schema=schema)
-
-
 def partitions_for(rows: int, each: int, spark: SparkSession) -> int:
     """Partitions that hold about ``each`` rows, and at least Spark's own number."""
     return max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-rows // each))
 
 
-def with_global_index(df: DataFrame, order: list[Column], index: str, name: str) -> tuple[DataFrame, int]:
-    """``df`` with a gapless 0-based ``index`` in the given total order, and its
-    row count. The order's rows are dealt by range (a hot key is split because
-    the order ends in a unique column), numbered inside each partition, and
-    lifted by the partitions' offsets, which are as many as the partitions."""
-    spark = df.sparkSession
-    n_parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    seq = F.monotonically_increasing_id()
-    rows = stored(
-        df.repartitionByRange(n_parts, *order).sortWithinPartitions(*order).withColumn("_seq", seq), name
-    )
-    part = F.shiftright("_seq", 33)
-    counts = sorted((r["p"], r["n"]) for r in rows.groupBy(part.alias("p")).agg(F.count("*").alias("n")).collect())
-    offsets, total = [], 0
-    for p, n in counts:
-        offsets.append((p, total))
-        total += n
-    lift = spark.createDataFrame(offsets or [(0, 0)], "_p long, _lift long")
-    out = (
-        rows.withColumn("_p", part.cast("long"))
-        .join(F.broadcast(lift), "_p")  # one row per partition
-        .withColumn(index, F.col("_lift") + F.col("_seq").bitwiseAND((1 << 33) - 1))
-        .drop("_p", "_lift", "_seq")
-    )
-    return out, total
-
-
 def runs(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Table]:
     """Whole runs of equal ``key`` from batches sorted by it, joined across batch
     borders, several runs to a table. Callers bound the length of a run."""

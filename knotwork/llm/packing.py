@@ -43,9 +43,9 @@ def pieces(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", end_id: int =
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = encoder(tokenizer_path(tokenizer)).encode
-        for b in batches:
+        for b in (whole.slice(at, 8192) for whole in batches for at in range(0, whole.num_rows, 8192)):
             out: list[list] = [[], [], [], [], [], []]
-            for doc_id, ids in zip(b.column(0).to_pylist(), encode(b.column(1).to_pylist()), strict=True):
+            for doc_id, ids in zip(b.column(0).to_pylist(), encode(b.column(1)), strict=True):
                 ids += end
                 for k, (start, length) in enumerate(cut_lengths(len(ids) // 4, most)):
                     part = ids[4 * start : 4 * (start + length)]

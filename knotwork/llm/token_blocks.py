@@ -146,9 +146,9 @@ def write_blocks(docs: DataFrame, path: str, tokenizer: str = "word_bpe_49k.json
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(row, kinds, strict=True)], [c.split()[0] for c in BLOCKS.split(", ")])
 
         for b in batches:
-            for at in range(0, b.num_rows, 512):
-                some = b.slice(at, 512)
-                for doc_id, found in zip(some.column(0).to_pylist(), encode(some.column(1).to_pylist()), strict=True):
+            for at in range(0, b.num_rows, 8192):
+                some = b.slice(at, 8192)
+                for doc_id, found in zip(some.column(0).to_pylist(), encode(some.column(1)), strict=True):
                     ids.append(doc_id)
                     held.append(found + end)
                     size += len(found) // 4 + 1

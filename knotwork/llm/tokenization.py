@@ -9,6 +9,8 @@ piece needs the tokenizer only once per worker. The cuts per kind of file:
   every space and on both sides of every newline of a text in which no two white
   space characters touch; a run of white space stays inside one piece.
 * ``gap`` (white space is dropped): at spaces and newlines.
+* both: before a comma or full stop that follows a letter or digit and precedes
+  white space, in texts where each of them follows a digit or a Latin letter.
 
 Anything else goes to the tokenizer as a whole. Tokenizers are never trained here.
 """
@@ -17,61 +19,146 @@ from __future__ import annotations
 
 import json
 import re
-import sys
-from array import array
+import os
 from itertools import chain
 
-import os
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # one thread a worker; Spark runs the workers
-assert array("I").itemsize == 4 and sys.byteorder == "little", "ids are kept as little-endian 32-bit words"
 
-_RUN = re.compile(r"\s\s")
 _MARK = "\x01"
+#: Two white space characters that touch, for Arrow's regular expressions.
+_RUN = r"[\s\x0b\x1c-\x1f\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]{2}|\x01"
+#: A comma or full stop at the start or after anything but a digit or a Latin letter
+#: that lower-casing and composing leave one letter.
+_TOUCHING = r"[^0-9A-Za-z\x{C0}-\x{D6}\x{D8}-\x{F6}\x{F8}-\x{12F}\x{131}-\x{17F}][,.]|^[,.]"
 #: Spaces between two visible characters, for texts that also hold runs of white space.
 _SAFE_SPACE = re.compile(r"(?<=\S)(?= \S)")
 
 
 class PieceEncoder:
-    """Encodes texts to little-endian unsigned 32-bit ids.
+    """Encodes columns of texts to little-endian unsigned 32-bit ids.
 
-    ``limit`` bounds the remembered pieces; ``longest`` the length of one."""
+    Pieces are told apart by Arrow's dictionary encoding, a block of texts at a
+    time; only a block's distinct pieces are looked up, and only new ones reach the
+    tokenizer. The ids of all remembered pieces lie in one flat array, from which a
+    block's ids are gathered. ``limit`` bounds the remembered pieces, ``longest``
+    the length of one."""
 
-    def __init__(self, path: str, limit: int = 1_000_000, longest: int = 48):
+    def __init__(self, path: str, limit: int = 600_000, longest: int = 48):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.limit, self.longest = limit, longest
-        self.memory: dict[str, bytes] = {"": b""}
+        self.slots: dict[str, int] = {}
+        self.begin, self.length, self.flat, self.used = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, "<u4"), 0
+        self.next = 0
         with open(path, encoding="utf-8") as f:
             made = json.load(f)
         self.kind = _kind(made.get("normalizer"), made.get("pre_tokenizer"))
-
-    def _pieces(self, text: str) -> list[str]:
+        #: What joins pieces for one call, its id, and what no such piece may hold:
+        #: white space after the first character, the separator, or an added token.
+        self.joint: tuple[str, int, object] | None = None
+        if glue := {"lead_space": "\n", "gap": " \x02 "}.get(self.kind):
+            ids = self.tokenizer.encode(glue, add_special_tokens=False).ids
+            added = [re.escape(t["content"]) for t in made.get("added_tokens", [])]
+            odd = re.compile("|".join([r".\s", r"^[^\S ]", "^ $", "\x02", *added]), re.DOTALL).search
+            if len(ids) == 1:
+                self.joint = (glue, ids[0], odd)
+
+    def _pieces(self, texts: pa.Array) -> pa.ListArray:
+        """A list of pieces for every text (none for null)."""
+        if self.kind not in ("gap", "lead_space"):
+            return pa.array([[t] if t else [] for t in texts.to_pylist()], pa.list_(pa.string()))
+        # A comma or full stop after a letter or digit and before white space is a
+        # pre-token of its own; without it "word" and "word," are one piece.
+        tidy = pc.invert(pc.match_substring_regex(texts, _TOUCHING))
         if self.kind == "gap":
-            return text.replace("\n", " ").split(" ")
-        if self.kind == "lead_space" and _MARK not in text:
-            if _RUN.search(text):
-                return _SAFE_SPACE.split(text)
-            return text.replace(" ", _MARK + " ").replace("\n", f"{_MARK}\n{_MARK}").split(_MARK)
-        return [text]
-
-    def encode(self, texts: list[str], at_once: int = 256) -> list[bytes]:
+            plain = pc.replace_substring(texts, "\n", " ")
+            apart = pc.replace_substring(pc.replace_substring(plain, ", ", " , "), ". ", " . ")
+            return pc.split_pattern(pc.if_else(tidy, apart, plain), " ")
+        odd = pc.fill_null(pc.match_substring_regex(texts, _RUN), False)
+        plain = pc.replace_substring(pc.replace_substring(texts, " ", _MARK + " "), "\n", f"{_MARK}\n{_MARK}")
+        apart = pc.replace_substring(pc.replace_substring(plain, "," + _MARK, f"{_MARK},{_MARK}"), "." + _MARK, f"{_MARK}.{_MARK}")
+        out = pc.split_pattern(pc.if_else(tidy, apart, plain), _MARK)
+        if not pc.any(odd).as_py():
+            return out
+        return pa.array([_SAFE_SPACE.split(t) if o else p for t, o, p in zip(texts.to_pylist(), odd.to_pylist(), out.to_pylist(), strict=True)], pa.list_(pa.string()))
+
+    def _append(self, pieces: list[str], ids: np.ndarray, begins: np.ndarray, lengths: np.ndarray) -> None:
+        n, k = len(pieces), self.next
+        while k + n > len(self.begin):
+            self.begin, self.length = np.concatenate([self.begin, np.zeros_like(self.begin)]), np.concatenate([self.length, np.zeros_like(self.length)])
+        while self.used + len(ids) > len(self.flat):
+            self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
+        self.flat[self.used : self.used + len(ids)] = ids
+        self.begin[k : k + n], self.length[k : k + n] = begins + self.used, lengths
+        self.slots.update(zip(pieces, range(k, k + n), strict=True))
+        self.used, self.next = self.used + len(ids), k + n
+
+    def _learn(self, pieces: list[str]) -> None:
+        """Ids of new pieces by few calls: joined by a separator that is a pre-token
+        and an id of its own, and cut at that id. Odd pieces go one by one."""
+        odd = self.joint[2] if self.joint else (lambda _: True)
+        plain = [p for p in pieces if not odd(p)]
+        rest = [p for p in pieces if odd(p)] if len(plain) < len(pieces) else []
+        for start in range(0, len(plain), 4096):
+            glue, mark, _ = self.joint
+            some = plain[start : start + 4096]
+            ids = np.array(self.tokenizer.encode_batch_fast([glue.join(some)], add_special_tokens=False)[0].ids, "<u4")
+            cuts = np.flatnonzero(ids == mark)
+            if len(cuts) != len(some) - 1:
+                raise ValueError("the separator is not a token of its own")
+            begins = np.concatenate([[0], cuts + 1])
+            self._append(some, ids, begins, np.concatenate([cuts, [len(ids)]]) - begins)
+        for start in range(0, len(rest), 1024):
+            some = rest[start : start + 1024]
+            found = [e.ids for e in self.tokenizer.encode_batch_fast(some, add_special_tokens=False)]
+            lengths = np.array([len(f) for f in found], np.int64)
+            self._append(some, np.fromiter(chain.from_iterable(found), "<u4", int(lengths.sum())), np.cumsum(lengths) - lengths, lengths)
+
+    def _trim(self) -> None:
+        """At the limit the longer half goes: short pieces are the frequent ones."""
+        sizes = sorted(map(len, self.slots))
+        cut = min(sizes[len(sizes) // 2], self.longest)
+        kept = [p for p in self.slots if len(p) < cut]
+        at = np.array([self.slots[p] for p in kept], np.int64)
+        ids, lengths = self._gather(at)
+        self.slots, self.used, self.next = {}, 0, 0
+        self._append(kept, ids, np.cumsum(lengths) - lengths, lengths)
+
+    def _gather(self, slots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of the slots one after the other, and how many each has."""
+        lengths = self.length[slots]
+        ends = np.cumsum(lengths)
+        shift = np.repeat(self.begin[slots] - (ends - lengths), lengths)
+        shift += np.arange(len(shift))
+        return self.flat[shift], lengths
+
+    def encode(self, texts: pa.Array, at_once: int = 4096) -> list[bytes]:
         """The ids of each text, as bytes; an empty or null text has none."""
-        memory, out = self.memory, []
+        out: list[bytes] = []
         for start in range(0, len(texts), at_once):
-            if len(memory) > self.limit:
-                memory = self.memory = {"": b""}
-            cut = [self._pieces(t) if t else [] for t in texts[start : start + at_once]]
-            fresh = list(set(chain.from_iterable(cut)).difference(memory))
+            if len(self.slots) > self.limit or self.used > 8 * self.limit:
+                self._trim()
+            pieces = self._pieces(texts.slice(start, at_once))
+            coded = pieces.flatten().dictionary_encode()
+            words = coded.dictionary.to_pylist()
+            fresh = [w for w in words if w not in self.slots]
             if fresh:
-                found = self.tokenizer.encode_batch_fast(fresh, add_special_tokens=False)
-                memory.update(zip(fresh, [array("I", e.ids).tobytes() for e in found], strict=True))
-            get = memory.__getitem__
-            out += [b"".join(map(get, pieces)) for pieces in cut]
-            for piece in fresh:
-                if len(piece) > self.longest:
-                    del memory[piece]
+                self._learn(fresh)
+            slots = np.fromiter(map(self.slots.__getitem__, words), np.int64, len(words))
+            ids, lengths = self._gather(slots[coded.indices.to_numpy()]) if words else (np.zeros(0, "<u4"), np.zeros(0, np.int64))
+            counts = pc.fill_null(pc.list_value_length(pieces), 0).to_numpy()
+            upto = np.concatenate([[0], np.cumsum(lengths)])[np.concatenate([[0], np.cumsum(counts)])] * 4
+            data = ids.tobytes()
+            upto = upto.tolist()
+            out += [data[a:b] for a, b in zip(upto, upto[1:], strict=False)]
+            for w in fresh:
+                if len(w) > self.longest:
+                    del self.slots[w]
         return out
 
 

@@ -146,6 +146,8 @@ def count_by_classification(store: GraphStore, k: int) -> DataFrame:
 
 
 def rollup(store: GraphStore, ks: tuple[int, ...] = (3, 4)) -> DataFrame:
-    """(k, pattern, cnt) with totals a size and over all (nulls), an extension."""
+    """(k, pattern, cnt) with totals: pattern ``all`` a size, k 0 over all sizes (an
+    extension)."""
     each = reduce(DataFrame.unionByName, [count(store, k).select("k", "pattern", "cnt") for k in ks])
-    return each.rollup("k", "pattern").agg(F.sum("cnt").alias("cnt"))
+    out = each.rollup("k", "pattern").agg(F.sum("cnt").alias("cnt"))
+    return out.select(F.coalesce("k", F.lit(0)).alias("k"), F.coalesce("pattern", F.lit("all")).alias("pattern"), "cnt")

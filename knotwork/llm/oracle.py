@@ -46,5 +46,27 @@ c(x, m) AS (
 ), m AS (SELECT x, min(m) AS m FROM c GROUP BY x)
 SELECT v.vec_id, coalesce(n.n_links, 0) AS n_links, coalesce(m.m, v.vec_id) AS component_id, v.vec_id = coalesce(m.m, v.vec_id) AS kept
 FROM v LEFT JOIN n ON n.a = v.vec_id LEFT JOIN m ON m.x = v.vec_id
+""",
+    "op1_fuzzy_license_scan": r"""
+WITH d AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'),
+                                    '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents
+), m(label, notice, e) AS (VALUES
+  ('apache', 'apache license', 2), ('apache', 'licensed under the apache license', 4), ('bsd', 'bsd license', 1),
+  ('bsd', 'redistribution and use in source and binary forms', 5), ('cc', 'creative commons attribution', 3), ('cc', 'licensed under cc by', 2),
+  ('gpl', 'general public license', 3), ('mit', 'mit license', 1), ('mit', 'permission is hereby granted free of charge', 4), ('mpl', 'mozilla public license', 2)
+), b(label, phrase, n) AS (VALUES ('mit', 'mit license', 2), ('apache', 'apache license', 2), ('gpl', 'general public license', 3)),
+p AS (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM d),
+s AS (SELECT doc_id, i, k, array_to_string(w[i:i + k - 1], ' ') AS x FROM p, range(1, 14) t(k) WHERE i + k - 1 <= len(w)),
+f AS (
+  SELECT s.doc_id, m.label, max(1 - CAST(levenshtein(s.x, m.notice) AS DOUBLE) / length(m.notice)) AS best
+  FROM s JOIN m ON length(s.x) >= length(m.notice) - m.e AND length(s.x) <= length(m.notice) + m.e WHERE levenshtein(s.x, m.notice) <= m.e GROUP BY 1, 2
+), g AS (SELECT s.doc_id, s.i - 1 AS i, b.label FROM s JOIN b ON s.k = b.n AND s.x = b.phrase),
+h AS (SELECT doc_id, count(*) AS n_base, min(i) AS first_word, max(i) AS last_word, string_agg(DISTINCT label, ',' ORDER BY label) AS base_labels FROM g GROUP BY 1),
+l AS (SELECT doc_id, string_agg(DISTINCT label, ',' ORDER BY label) AS labels FROM (SELECT doc_id, label FROM f UNION SELECT doc_id, label FROM g) GROUP BY 1),
+c AS (SELECT doc_id, max(best) AS best FROM (SELECT doc_id, best FROM f UNION ALL SELECT doc_id, 1.0 FROM g) GROUP BY 1)
+SELECT d.doc_id, len(d.w) AS n_words, coalesce(h.n_base, 0) AS n_base, h.first_word, h.last_word,
+       coalesce(h.base_labels, '') AS base_labels, coalesce(l.labels, '') AS labels, coalesce(c.best, 0.0) AS score
+FROM d LEFT JOIN h USING (doc_id) LEFT JOIN l USING (doc_id) LEFT JOIN c USING (doc_id)
 """,
 }

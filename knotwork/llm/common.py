@@ -9,7 +9,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -17,7 +18,7 @@ from pyspark.sql import functions as F
 
 from ..scratch import new_path, release, stored, with_global_index
 
-__all__ = ["documents", "new_path", "partitions_for", "pick", "release", "runs", "stored", "table", "utf8", "with_global_index"]
+__all__ = ["documents", "new_path", "partitions_for", "pick", "release", "runs", "stored", "table", "tidy", "utf8", "with_global_index"]
 
 def pick(df: DataFrame, **types: str) -> DataFrame:
     """Exactly the named columns, cast; a column that is missing is null."""
@@ -38,6 +39,23 @@ def utf8(batch: pa.RecordBatch, name: str = "text") -> list:
     return batch.column(batch.schema.get_field_index(name)).cast(pa.large_binary()).to_pylist()
 
 
+def tidy(run: Callable) -> Callable:
+    """A ``mapInArrow`` function that hands freed memory back to the system when its
+    task ends: Python workers live on, and stages share an executor's memory."""
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (OSError, AttributeError):  # another C library
+                pass
+
+    return wrapped
+
+
 def partitions_for(rows: int, each: int, spark: SparkSession) -> int:
     """Partitions that hold about ``each`` rows, and at least Spark's own number."""
     return max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-rows // each))

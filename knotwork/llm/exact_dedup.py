@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, partitions_for, stored, utf8
+from .common import documents, partitions_for, stored, tidy, utf8
 
 _SPACE = frozenset(b" \t\n\r\x0b\x0c")
 SLOTS, KICKS, FULLEST = 4, 200, 0.94
@@ -172,7 +172,7 @@ def digests(docs: DataFrame) -> DataFrame:
             found = [hashlib.sha256(normalise(t)).digest() for t in utf8(b)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], ["doc_id", "digest"])
 
-    return documents(docs).mapInArrow(run, "doc_id long, digest binary")
+    return documents(docs).mapInArrow(tidy(run), "doc_id long, digest binary")
 
 
 def _partial(hashed: DataFrame) -> DataFrame:
@@ -183,7 +183,7 @@ def _partial(hashed: DataFrame) -> DataFrame:
             t = pa.Table.from_batches([b]).group_by("digest").aggregate([("doc_id", "min"), ([], "count_all")])
             yield from t.select(["digest", "doc_id_min", "count_all"]).rename_columns(["digest", "doc_id", "copies"]).to_batches()
 
-    return hashed.mapInArrow(run, "digest binary, doc_id long, copies long")
+    return hashed.mapInArrow(tidy(run), "digest binary, doc_id long, copies long")
 
 
 def _bucketed(df: DataFrame, buckets: int) -> DataFrame:
@@ -238,7 +238,7 @@ def entries(index: DataFrame) -> DataFrame:
                 ids = np.frombuffer(row["ids"], "<i8")
                 yield pa.RecordBatch.from_arrays([keys, pa.array(ids, mask=ids == NO_ID), pa.array(np.frombuffer(row["copies"], "<i8"))], ["digest", "keep_id", "group_size"])
 
-    return index.select("digests", "ids", "copies").mapInArrow(run, "digest binary, keep_id long, group_size long")
+    return index.select("digests", "ids", "copies").mapInArrow(tidy(run), "digest binary, keep_id long, group_size long")
 
 
 def classify(docs: DataFrame, per_bucket: int = 50_000) -> DataFrame:

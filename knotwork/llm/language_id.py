@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import pick
+from .common import pick, tidy
 
 #: Byte classes: lower-case letters (upper case folded), digits, white space, ASCII
 #: punctuation, and the bytes of multi-byte characters one by one.
@@ -246,7 +246,7 @@ def predict(docs: DataFrame, net: CompiledCNN) -> DataFrame:
             held = [None if i is None else zlib.crc32(str(i).encode()) % 3 == 1 for i in ids]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(held, pa.bool_()), pa.array([x for x, _ in found], pa.string()), pa.array([p for _, p in found], pa.float64())], ["doc_id", "held_out", "lang_pred", "score"])
 
-    return pick(docs, doc_id="long", text="string").mapInArrow(run, PREDICTED)
+    return pick(docs, doc_id="long", text="string").mapInArrow(tidy(run), PREDICTED)
 
 
 def select(docs: DataFrame, least: float = 0.3, **how) -> DataFrame:
@@ -258,4 +258,4 @@ def select(docs: DataFrame, least: float = 0.3, **how) -> DataFrame:
             found = net.predict(b.column(b.schema.get_field_index("text")).cast(pa.large_binary()).to_pylist())
             yield b.filter(pa.array([lang != "und" and p >= least for lang, p in found], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)

@@ -23,7 +23,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .common import documents, utf8
+from .common import documents, tidy, utf8
 
 # The exact phrases and their labels.
 BASE = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
@@ -163,4 +163,4 @@ def scan(docs: DataFrame, notices=NOTICES, base: dict[str, str] = BASE) -> DataF
             names = [c.split()[0] for c in SCANNED.split("array")[0].split(", ")]
             yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(c, t) for c, t in zip(rows, kinds, strict=True)]], names)
 
-    return documents(docs).mapInArrow(run, SCANNED)
+    return documents(docs).mapInArrow(tidy(run), SCANNED)

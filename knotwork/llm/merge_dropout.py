@@ -30,7 +30,7 @@ import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 
-from .common import documents
+from .common import documents, tidy
 from .tokenization import PieceEncoder, tokenizer_path
 
 SPACE = "▁"
@@ -80,9 +80,7 @@ class MergeDropout(PieceEncoder):
     def __init__(self, vocabulary: Vocabulary, rate: float, seed: int, draw: int, limit: int = 300_000, longest: int = 48):
         self.vocabulary, self.limit, self.longest = vocabulary, limit, longest
         self.cut, self.key = int(rate * (1 << 53)), xxhash.xxh3_64_intdigest(f"{seed}:{draw}")
-        self.slots: dict[str, int] = {}
-        self.begin, self.length, self.flat, self.used = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, "<u4"), 0
-        self.next = 0
+        self._clear()
 
     def _pieces(self, texts: pa.Array) -> pa.ListArray:
         full = pc.binary_join_element_wise(pa.scalar(" "), texts, "")
@@ -215,7 +213,7 @@ def encode(docs: DataFrame, model: str = "piece_bpe_32k.model", rate: float = 0.
             values = [np.frombuffer(x, "<u4").astype(np.int32) for x in ids]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(values, pa.list_(pa.int32()))], ["doc_id", "ids"])
 
-    return documents(docs).mapInArrow(run, "doc_id long, ids array<int>")
+    return documents(docs).mapInArrow(tidy(run), "doc_id long, ids array<int>")
 
 
 def decode(encoded: DataFrame, model: str = "piece_bpe_32k.model") -> DataFrame:
@@ -227,7 +225,7 @@ def decode(encoded: DataFrame, model: str = "piece_bpe_32k.model") -> DataFrame:
             texts = [None if x is None else vocabulary.decode(x).decode("utf-8") for x in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(texts, pa.string())], ["doc_id", "text"])
 
-    return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
+    return encoded.select("doc_id", "ids").mapInArrow(tidy(run), "doc_id long, text string")
 
 
 def round_trip(docs: DataFrame, model: str = "piece_bpe_32k.model", rate: float = 0.1, seed: int = 1, draws: int = 2) -> DataFrame:
@@ -246,4 +244,4 @@ def round_trip(docs: DataFrame, model: str = "piece_bpe_32k.model", rate: float
             ]
             yield pa.RecordBatch.from_arrays([b.column(0), *columns], ["doc_id", "draw", "n_ids", "ids_crc32", "text_crc32", "lossless"])
 
-    return documents(docs).mapInArrow(run, "doc_id long, draw int, n_ids long, ids_crc32 long, text_crc32 long, lossless boolean")
+    return documents(docs).mapInArrow(tidy(run), "doc_id long, draw int, n_ids long, ids_crc32 long, text_crc32 long, lossless boolean")

@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, stored
+from .common import documents, stored, tidy
 from .tokenization import encoder, tokenizer_path
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
@@ -56,7 +56,7 @@ def pieces(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", end_id: int =
             made = pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, kinds, strict=True)], names)
             yield made if with_ids else made.select(names[:5])
 
-    return documents(docs).mapInArrow(run, PIECES + ", ids binary" * with_ids)
+    return documents(docs).mapInArrow(tidy(run), PIECES + ", ids binary" * with_ids)
 
 
 def best_fit(lengths: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -129,7 +129,7 @@ def _pack_round(rows: DataFrame, turn: int, parts: int, most: int, slack: int) -
         yield from t.to_batches(10_000)
 
     dealt = rows.select("doc_id", "piece", "start", "length", "ids_crc32").repartition(parts, F.xxhash64(F.lit(turn), "doc_id", "piece", "ids_crc32"))
-    return dealt.mapInArrow(run, PACKED)
+    return dealt.mapInArrow(tidy(run), PACKED)
 
 
 def pack(rows: DataFrame, most: int = 2048, per_task: int = 100_000, slack: int = 1, rounds: int = 3) -> DataFrame:
@@ -176,7 +176,7 @@ def sequences(docs: DataFrame, packed: DataFrame, **how) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ids, pa.list_(pa.int64()))], ["sequence_id", "ids"])
 
     grouped = joined.groupBy("sequence_id").agg(F.array_sort(F.collect_list(F.struct("offset", "ids"))).alias("parts"))
-    return grouped.mapInArrow(decode, "sequence_id long, ids array<long>")
+    return grouped.mapInArrow(tidy(decode), "sequence_id long, ids array<long>")
 
 
 def certificate(packed: DataFrame) -> DataFrame:

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, pick, stored, utf8
+from .common import documents, pick, stored, tidy, utf8
 
 _TOKEN = re.compile(rb"[a-z0-9\x80-\xff]+|[^\sa-z0-9\x80-\xff]+")
 U64 = np.uint64
@@ -86,7 +86,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, buckets: int =
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[0, at]), pa.array(total[1, at])], ["bucket", "raw", "target"])
 
     # As many rows as buckets reach the driver, whatever the corpus.
-    rows = documents(docs).mapInArrow(count, "bucket long, raw long, target long").groupBy("bucket").agg(F.sum("raw"), F.sum("target")).collect()
+    rows = documents(docs).mapInArrow(tidy(count), "bucket long, raw long, target long").groupBy("bucket").agg(F.sum("raw"), F.sum("target")).collect()
     raw, target = np.zeros(2 * buckets + 1), np.zeros(2 * buckets + 1)
     for bucket, r, t in rows:
         raw[bucket], target[bucket] = r, t
@@ -117,7 +117,7 @@ def _weights(batch: pa.RecordBatch, features: Features, model: dict) -> tuple[np
 
 def ordered_bits(x: np.ndarray) -> np.ndarray:
     """Doubles as longs in the same order."""
-    v = np.asarray(x, np.float64).view(np.int64)
+    v = (np.asarray(x, np.float64) + 0.0).view(np.int64)
     return v ^ ((v >> 63) & np.int64(0x7FFFFFFFFFFFFFFF))
 
 
@@ -131,7 +131,7 @@ def score(docs: DataFrame, model: dict) -> DataFrame:
             none = np.isnan(w)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(w, mask=none), pa.array(key, mask=none), pa.array(ordered_bits(key), mask=none)], ["doc_id", "log_weight", "key", "key_bits"])
 
-    return documents(docs).mapInArrow(run, "doc_id long, log_weight double, key double, key_bits long")
+    return documents(docs).mapInArrow(tidy(run), "doc_id long, log_weight double, key double, key_bits long")
 
 
 def kth_largest(df: DataFrame, bits: str, k: int) -> int | None:
@@ -190,4 +190,4 @@ def select(docs: DataFrame, labels: DataFrame, tail: float = 0.001, **how) -> Da
             w, key = _weights(b, features, model)
             yield b.filter(pa.array(~np.isnan(w) & (ordered_bits(key) >= cut)))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)

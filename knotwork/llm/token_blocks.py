@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, new_path
+from .common import documents, new_path, tidy
 from .tokenization import encoder, tokenizer_path
 
 # Fixed values of the file format.
@@ -158,7 +158,7 @@ def write_blocks(docs: DataFrame, path: str, tokenizer: str = "word_bpe_49k.json
         if ids:
             yield flush()
 
-    ordered.mapInArrow(run, BLOCKS).write.option("compression", "zstd").parquet(path)
+    ordered.mapInArrow(tidy(run), BLOCKS).write.option("compression", "zstd").parquet(path)
 
 
 def read_blocks(spark, path: str) -> DataFrame:
@@ -184,7 +184,7 @@ def read_blocks(spark, path: str) -> DataFrame:
                 doc_ids = [None] * row["null_ids"] + np.frombuffer(row["doc_ids"], "<i8").tolist()
                 yield pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(starts + row["first"] + row["lift"]), pa.array(ends - starts), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return blocks.join(F.broadcast(lift), "part").select("first", "lift", "doc_ids", "null_ids", "payload").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return blocks.join(F.broadcast(lift), "part").select("first", "lift", "doc_ids", "null_ids", "payload").mapInArrow(tidy(run), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def round_trip(docs: DataFrame, **how) -> DataFrame:

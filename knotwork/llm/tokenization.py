@@ -47,27 +47,31 @@ class PieceEncoder:
     block's ids are gathered. ``limit`` bounds the remembered pieces, ``longest``
     the length of one."""
 
-    def __init__(self, path: str, limit: int = 600_000, longest: int = 48):
+    def __init__(self, path: str, limit: int = 400_000, longest: int = 48):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.limit, self.longest = limit, longest
-        self.slots: dict[str, int] = {}
-        self.begin, self.length, self.flat, self.used = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, "<u4"), 0
-        self.next = 0
+        self._clear()
         with open(path, encoding="utf-8") as f:
             made = json.load(f)
         self.kind = _kind(made.get("normalizer"), made.get("pre_tokenizer"))
+        self.lower = any(n.get("type") == "Lowercase" for n in (made.get("normalizer") or {}).get("normalizers", []))
         #: What joins pieces for one call, its id, and what no such piece may hold:
-        #: white space after the first character, the separator, or an added token.
+        #: nothing, white space after the first character, the separator, an added token.
         self.joint: tuple[str, int, object] | None = None
         if glue := {"lead_space": "\n", "gap": " \x02 "}.get(self.kind):
             ids = self.tokenizer.encode(glue, add_special_tokens=False).ids
             added = [re.escape(t["content"]) for t in made.get("added_tokens", [])]
-            odd = re.compile("|".join([r".\s", r"^[^\S ]", "^ $", "\x02", *added]), re.DOTALL).search
+            odd = re.compile("|".join([r".\s", r"^[^\S ]", "^ ?$", "\x02", *added]), re.DOTALL).search
             if len(ids) == 1:
                 self.joint = (glue, ids[0], odd)
 
+    def _clear(self) -> None:
+        self.slots: dict[str, int] = {}
+        self.begin, self.length, self.blocks = (np.zeros(1 << 16, np.int32) for _ in range(3))
+        self.flat, self.used, self.next = np.zeros(1 << 18, "<u4"), 0, 0
+
     def _pieces(self, texts: pa.Array) -> pa.ListArray:
         """A list of pieces for every text (none for null)."""
         if self.kind not in ("gap", "lead_space"):
@@ -76,6 +80,8 @@ class PieceEncoder:
         # pre-token of its own; without it "word" and "word," are one piece.
         tidy = pc.invert(pc.match_substring_regex(texts, _TOUCHING))
         if self.kind == "gap":
+            if self.lower:  # the file lower-cases; "<|" may begin an added token
+                texts = pc.if_else(pc.match_substring(texts, "<|"), texts, pc.ascii_lower(texts))
             plain = pc.replace_substring(texts, "\n", " ")
             apart = pc.replace_substring(pc.replace_substring(plain, ", ", " , "), ". ", " . ")
             return pc.split_pattern(pc.if_else(tidy, apart, plain), " ")
@@ -90,11 +96,11 @@ class PieceEncoder:
     def _append(self, pieces: list[str], ids: np.ndarray, begins: np.ndarray, lengths: np.ndarray) -> None:
         n, k = len(pieces), self.next
         while k + n > len(self.begin):
-            self.begin, self.length = np.concatenate([self.begin, np.zeros_like(self.begin)]), np.concatenate([self.length, np.zeros_like(self.length)])
+            self.begin, self.length, self.blocks = [np.concatenate([x, np.zeros_like(x)]) for x in (self.begin, self.length, self.blocks)]
         while self.used + len(ids) > len(self.flat):
             self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
         self.flat[self.used : self.used + len(ids)] = ids
-        self.begin[k : k + n], self.length[k : k + n] = begins + self.used, lengths
+        self.begin[k : k + n], self.length[k : k + n], self.blocks[k : k + n] = begins + self.used, lengths, 0
         self.slots.update(zip(pieces, range(k, k + n), strict=True))
         self.used, self.next = self.used + len(ids), k + n
 
@@ -120,42 +126,53 @@ class PieceEncoder:
             self._append(some, np.fromiter(chain.from_iterable(found), "<u4", int(lengths.sum())), np.cumsum(lengths) - lengths, lengths)
 
     def _trim(self) -> None:
-        """At the limit the longer half goes: short pieces are the frequent ones."""
-        sizes = sorted(map(len, self.slots))
-        cut = min(sizes[len(sizes) // 2], self.longest)
-        kept = [p for p in self.slots if len(p) < cut]
-        at = np.array([self.slots[p] for p in kept], np.int64)
+        """At the limit at most half of the pieces stay: those that most blocks have
+        used, with their counts halved, so that old fame fades."""
+        pieces, at = list(self.slots), np.fromiter(self.slots.values(), np.int64, len(self.slots))
+        used = self.blocks[at]
+        cut = max(2, int(np.partition(used, len(used) // 2)[len(used) // 2]) + 1)
+        stay = np.flatnonzero(used >= cut)
+        kept = [pieces[i] for i in stay.tolist()] + [""]
+        at = np.append(at[stay], self.slots.get("", 0))
         ids, lengths = self._gather(at)
+        if "" not in self.slots:
+            lengths[-1] = 0
         self.slots, self.used, self.next = {}, 0, 0
         self._append(kept, ids, np.cumsum(lengths) - lengths, lengths)
+        self.blocks[: len(stay)] = used[stay] // 2
 
     def _gather(self, slots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """The ids of the slots one after the other, and how many each has."""
         lengths = self.length[slots]
-        ends = np.cumsum(lengths)
+        ends = np.cumsum(lengths, dtype=np.int32)  # a block's ids stay far below 2**31
         shift = np.repeat(self.begin[slots] - (ends - lengths), lengths)
-        shift += np.arange(len(shift))
+        shift += np.arange(len(shift), dtype=np.int32)
         return self.flat[shift], lengths
 
-    def encode(self, texts: pa.Array, at_once: int = 4096) -> list[bytes]:
+    def encode(self, texts: pa.Array, at_once: int = 8192, gather: int = 1024) -> list[bytes]:
         """The ids of each text, as bytes; an empty or null text has none."""
         out: list[bytes] = []
         for start in range(0, len(texts), at_once):
             if len(self.slots) > self.limit or self.used > 8 * self.limit:
                 self._trim()
             pieces = self._pieces(texts.slice(start, at_once))
+            counts = pc.fill_null(pc.list_value_length(pieces), 0).to_numpy()
             coded = pieces.flatten().dictionary_encode()
-            words = coded.dictionary.to_pylist()
+            del pieces
+            words, codes = coded.dictionary.to_pylist(), coded.indices.to_numpy()
+            del coded
             fresh = [w for w in words if w not in self.slots]
             if fresh:
                 self._learn(fresh)
-            slots = np.fromiter(map(self.slots.__getitem__, words), np.int64, len(words))
-            ids, lengths = self._gather(slots[coded.indices.to_numpy()]) if words else (np.zeros(0, "<u4"), np.zeros(0, np.int64))
-            counts = pc.fill_null(pc.list_value_length(pieces), 0).to_numpy()
-            upto = np.concatenate([[0], np.cumsum(lengths)])[np.concatenate([[0], np.cumsum(counts)])] * 4
-            data = ids.tobytes()
-            upto = upto.tolist()
-            out += [data[a:b] for a, b in zip(upto, upto[1:], strict=False)]
+            slots = np.fromiter(map(self.slots.__getitem__, words), np.int32, len(words))
+            self.blocks[slots] += 1
+            ends = np.concatenate([[0], np.cumsum(counts)])
+            for row in range(0, len(counts), gather):
+                own = ends[row : row + gather + 1]
+                ids, lengths = self._gather(slots[codes[own[0] : own[-1]]])
+                upto = (np.concatenate([[0], np.cumsum(lengths)])[own - own[0]] * 4).tolist()
+                data = ids.tobytes()
+                out += [data[i:j] for i, j in zip(upto, upto[1:], strict=False)]
             for w in fresh:
                 if len(w) > self.longest:
                     del self.slots[w]

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import cost, orders
-from ..functions.pattern import Pattern, known_name, parse
+from ..functions.pattern import Pattern, connected_patterns, known_name, parse
 from ..functions.symmetry import Perm, multiplicity
 from ..plans import by_join, by_kernel, planner
 from ..plans.by_join import v
@@ -89,10 +89,33 @@ def order_work(store: GraphStore, pattern: str | Pattern, model: cost.ModelGraph
     """(ord, predicted, touched, mappings) for every distinct order of a pattern."""
     p = parse(pattern) if isinstance(pattern, str) else pattern
     g = model or cost.ModelGraph()
+    kinds = orders.distinct(p)
+    found = by_kernel.counted_many(store, [compile_program(p, o) for o in kinds])
+    meta = store.spark.createDataFrame([(i, order_text(o), float(cost.order_cost(p, o, g))) for i, o in enumerate(kinds)], "slot int, ord string, predicted double")
+    return F.broadcast(meta).join(found, "slot").select("ord", "predicted", "touched", "mappings")
+
+
+def bound_checks(store: GraphStore, pattern: str | Pattern) -> DataFrame:
+    """(bounds, checks, kept): comparisons made with all bounds and with one a label,
+    over the joins' levels, and the instances that remain."""
+    p = parse(pattern) if isinstance(pattern, str) else pattern
+    rows = []
+    for form in ("full", "min"):
+        program = compile_program(p, form=form)
+        w = work(store, program, scan_half=False)
+        rows.append(w.agg(F.lit(form).alias("bounds"), F.sum("checks").alias("checks"), F.max_by("kept", "level").alias("kept")))
+    return reduce(DataFrame.unionByName, rows)
+
+
+def orientation_gain(oriented: GraphStore, plain: GraphStore, patterns: list[str]) -> DataFrame:
+    """(pattern, oriented, bounded_scan, mappings, touched): list elements that the
+    nested loops read with and without degree renumbering and the bounded scan."""
     rows = []
-    for o in orders.distinct(p):
-        found = touched(store, compile_program(p, o))
-        rows.append(found.select(F.lit("".join(chr(97 + x) for x in o)).alias("ord"), F.lit(cost.order_cost(p, o, g)).alias("predicted"), "touched", "mappings"))
+    for store in (plain, oriented):
+        for scan in (False, True):
+            found = by_kernel.counted_many(store, [compile_program(parse(x)) for x in patterns], scan)
+            meta = store.spark.createDataFrame(list(enumerate(patterns)), "slot int, pattern string")
+            rows.append(F.broadcast(meta).join(found, "slot").select("pattern", F.lit(store.oriented).alias("oriented"), F.lit(scan).alias("bounded_scan"), "mappings", "touched"))
     return reduce(DataFrame.unionByName, rows)
 
 
@@ -102,6 +125,11 @@ def r_squared(df: DataFrame, x: str = "predicted", y: str = "touched") -> DataFr
     return df.agg(F.count("*").alias("n"), (r * r).alias("r2"), (s * s).alias("r2_log"))
 
 
+def dearest(k: int, n: int = 4) -> list[Pattern]:
+    """The n connected patterns of k labels with the most valid orders."""
+    return sorted(connected_patterns(k), key=lambda p: (-sum(1 for _ in orders.by_prefix(p)), p.edge_mask))[:n]
+
+
 def compile_times(spark: SparkSession, patterns: list[Pattern], algorithms: tuple[str, ...] = ("permutation", "prefix", "distinct")) -> DataFrame:
     """(pattern, k, algorithm, orders, ms): order search and pricing by algorithm.
     The two baselines price without bounds, the distinct search with them."""
@@ -144,5 +172,15 @@ def explosion(ks: range = range(3, 8)) -> list[tuple[str, int, int]]:
     return [(f, k, multiplicity(make(k))) for k in ks for f, make in (("cycle", cycle), ("clique", clique), ("near_clique", near_clique))]
 
 
+def compile_sets(spark: SparkSession, most: int = 6) -> DataFrame:
+    """(k, algorithm, patterns, orders, ms): whole motif sets by algorithm. Valid
+    permutations are tested up to six labels; the distinct search also takes seven."""
+    rows = []
+    for k in range(3, most + 1):
+        t = compile_times(spark, list(connected_patterns(k)), ("permutation", "prefix", "distinct") if k <= 6 else ("distinct",))
+        rows.append(t.groupBy("k", "algorithm").agg(F.count("*").alias("patterns"), F.sum("orders").alias("orders"), F.sum("ms").alias("ms")))
+    return reduce(DataFrame.unionByName, rows)
+
+
 def order_text(order: Perm) -> str:
     return "".join(chr(97 + x) for x in order)

@@ -108,6 +108,23 @@ def counted(store: GraphStore, program: LoopProgram, early_exit: bool = True, li
     return _roots(store).mapInArrow(run, "mappings long, touched long").agg(F.sum("mappings").alias("mappings"), F.sum("touched").alias("touched"))
 
 
+def counted_many(store: GraphStore, programs: list[LoopProgram], early_exit: bool = True, limit: int = LIMIT) -> DataFrame:
+    """(slot, mappings, touched) of several programs in one pass over the roots."""
+    shared = store.spark.sparkContext.broadcast(csr(store, limit))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        searches = [Search(*shared.value, p, early_exit) for p in programs]
+        total = [0] * len(programs)
+        for b in batches:
+            for u in b.column(0).to_pylist():
+                for i, search in enumerate(searches):
+                    total[i] += search.count(u)
+        yield pa.RecordBatch.from_pydict({"slot": pa.array(range(len(programs)), pa.int32()), "mappings": total, "touched": [s.touched for s in searches]})
+
+    every = _roots(store).mapInArrow(run, "slot int, mappings long, touched long")
+    return every.groupBy("slot").agg(F.sum("mappings").alias("mappings"), F.sum("touched").alias("touched"))
+
+
 def mappings(store: GraphStore, program: LoopProgram, limit: int = LIMIT) -> DataFrame:
     spark, names = store.spark, [v(i) for i in range(program.k)]
     shared = spark.sparkContext.broadcast(csr(store, limit))

@@ -14,9 +14,10 @@ ARRAY_DEGREE = 20_000
 
 
 def choose_executor(store: GraphStore, program: LoopProgram, mode: str = "count") -> str:
-    """``kernel`` for a graph that one executor holds several times over, ``array``
-    for short lists and few levels, else ``join``."""
-    if 2 * store.m <= 200_000 and store.max_degree <= 2_000:
+    """``kernel`` for a graph that one executor holds many times over (larger for
+    three labels, whose search only visits edges), ``array`` for short lists and few
+    levels, else ``join``."""
+    if 2 * store.m <= (4_000_000 if program.k <= 3 else 200_000) and store.max_degree <= 2_000:
         return "kernel"
     if store.max_degree <= ARRAY_DEGREE and program.k <= 4 and mode == "count":
         return "array"

@@ -16,7 +16,7 @@ from . import oracle
 from .functions.pattern import CATALOG, connected_patterns, parse
 from .operators import baselines, graph, measures, mine, motifs, reports, setops
 from .operators.graph import GraphStore
-from .plans import by_join, planner
+from .plans import by_join, by_sql, planner
 from .plans.program import compile_program
 from .scratch import new_path
 from .sources import graphs
@@ -171,12 +171,18 @@ for _scan in (True, False):
     add(f"touched_rectangle_{'bounded' if _scan else 'whole'}_doc_lines", on("doc_lines", lambda st, x=_scan: measures.touched(st, compile_program(CATALOG["rectangle"]), x)))
 add("touched_wedge_star_oriented", on("cust_nation", lambda st: measures.touched(st, compile_program(CATALOG["triangle"]))))
 add("touched_wedge_star_plain", on("cust_nation", lambda st: measures.touched(st, compile_program(CATALOG["triangle"])), orient=False))
-for _p in ("tailed_triangle", "house"):
+for _p in ("tailed_triangle", "diamond", "pentagon", "bow_tie", "house"):
     add(f"order_work_{_p}_copart_q45", on("copart_q45", lambda st, p=_p: measures.order_work(st, p)))
+for _p, _g in (("rectangle", "copart_s2"), ("clique_4", "doc_lines"), ("clique_5", "copart_q45")):
+    add(f"bound_checks_{_p}_{_g}", on(_g, lambda st, p=_p: measures.bound_checks(st, p)))
+for _g in ("doc_lines", "copart_s2"):
+    add(f"orientation_gain_{_g}", lambda s, sf, g=_g: measures.orientation_gain(store(s, sf, g), store(s, sf, g, False), ["triangle", "clique_4", "rectangle", "pentagon", "bow_tie"] if g == "copart_s2" else ["triangle", "clique_4", "rectangle"]))
+add("orientation_gain_star", lambda s, sf: measures.orientation_gain(store(s, sf, "cust_nation"), store(s, sf, "cust_nation", False), ["triangle", "wedge"]))
 add("model_fit_house_copart_q45", on("copart_q45", lambda st: measures.r_squared(measures.order_work(st, "house"))))
 add("model_fit_house_uniform", lambda s, sf: measures.r_squared(measures.order_work(_uniform(s), "house")))
 add("compile_times_catalog", lambda s, sf: measures.compile_times(s, [p for p in CATALOG.values() if p.k <= 6]))
-add("compile_times_motif_sets", lambda s, sf: measures.compile_times(s, [p for k in (3, 4, 5) for p in connected_patterns(k)]))
+add("compile_times_motif_sets", lambda s, sf: measures.compile_sets(s, 6))
+add("compile_times_dearest_7", lambda s, sf: measures.compile_times(s, measures.dearest(7)))
 add("compile_times_near_clique_7", lambda s, sf: measures.compile_times(s, [CATALOG["near_clique_7"]]))
 for _g in ("copart_q45", "doc_lines", "cust_supp"):
     add(f"reindex_time_{_g}", lambda s, sf, g=_g: measures.reindex_time(graphs.from_tables(s, sf, g), g))
@@ -216,6 +222,28 @@ add(
     oracle.values(_tiny, {"graph": "VARCHAR", "pattern": "VARCHAR", "cnt": "BIGINT"}),
 )
 
+# Executors agree row by row; SQL text of a program; co-occurrence in time windows.
+add(
+    "executor_difference_copart_q45",
+    on("copart_q45", lambda st: mine.instances(st, "bow_tie", executor="join").exceptAll(mine.instances(st, "bow_tie", executor="kernel")).agg(F.count("*").alias("cnt"))),
+    oracle.values([(0,)], {"cnt": "BIGINT"}),
+)
+add("sql_text_rectangle", lambda s, sf: s.createDataFrame([(by_sql.to_sql(compile_program(CATALOG["rectangle"])),)], "text string"))
+add(
+    "graph_user_window_edges", lambda s, sf: graphs.user_window(s.read.parquet(f"{sf}/events.parquet"), "1 hour"),
+    "WITH p AS (SELECT DISTINCT date_trunc('hour', ts) AS o, user_id AS x FROM events) SELECT DISTINCT a.x AS u, b.x AS v FROM p a JOIN p b ON a.o = b.o AND a.x < b.x",
+)
+
+
+def _motif_cube(s: SparkSession, sf: str) -> DataFrame:
+    each = [motifs.count(store(s, sf, g), 3).select(F.lit(g).alias("graph"), "pattern", "cnt") for g in ("copart_q45", "doc_lines", "emb_knn")]
+    out = reduce(DataFrame.unionByName, each).cube("graph", "pattern").agg(F.sum("cnt").alias("cnt"))
+    return out.select(F.coalesce("graph", F.lit("all")).alias("graph"), F.coalesce("pattern", F.lit("all")).alias("pattern"), "cnt")
+
+
+_cube = " UNION ALL ".join(f"SELECT '{g}' AS graph, pattern, cnt FROM ({oracle.motif3(g)})" for g in ("copart_q45", "doc_lines", "emb_knn"))
+add("motif_cube", _motif_cube, f"SELECT coalesce(graph, 'all') AS graph, coalesce(pattern, 'all') AS pattern, CAST(n AS BIGINT) AS cnt FROM (SELECT graph, pattern, sum(cnt) AS n FROM ({_cube}) GROUP BY CUBE (graph, pattern))")
+
 # Streaming.
 add(
     "streaming_triangles_user_day",

@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, pick, runs, stored, utf8
+from .common import documents, pick, runs, stored, tidy, utf8
 from .components import components
 from .shingles import U64, MinHash, WordHashes, mix, shingle_set
 
@@ -70,7 +70,7 @@ def signatures(docs: DataFrame, width: int = 5) -> DataFrame:
                     keys.append(None), mins.append(None), sketches.append(None)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(keys, pa.binary()), pa.array(mins, pa.binary()), pa.array(sketches, pa.binary())], ["doc_id", "n_shingles", "key", "mins", "sketch"])
 
-    return documents(docs).mapInArrow(run, SIGNED)
+    return documents(docs).mapInArrow(tidy(run), SIGNED)
 
 
 def _matrix(column: pa.Array, dtype: str, size: int) -> np.ndarray:
@@ -96,7 +96,7 @@ def _branch(rows: DataFrame, seeds: list[int], keep: str) -> DataFrame:
                 above = b.column(3) if keep else pa.nulls(len(mins), pa.int64())
                 yield pa.RecordBatch.from_arrays([pa.array(node.view(np.int64)), reps, above], ["node", "rep", "above"])
 
-    return rows.mapInArrow(run, "node long, rep long, above long")
+    return rows.mapInArrow(tidy(run), "node long, rep long, above long")
 
 
 def _tentative(rows: DataFrame, least: int) -> DataFrame:
@@ -116,7 +116,7 @@ def _tentative(rows: DataFrame, least: int) -> DataFrame:
             if a:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(a)), pa.array(np.concatenate(b))], ["a", "b"])
 
-    return rows.mapInArrow(run, "a long, b long").distinct()
+    return rows.mapInArrow(tidy(run), "a long, b long").distinct()
 
 
 def cluster(sketch: np.ndarray, reps: np.ndarray, least: int) -> np.ndarray:
@@ -162,7 +162,9 @@ def candidates(reps: DataFrame, trees: int = 6, branches: int = 2, limit: int =
     level = _branch(reps.select("rep", "mins"), roots, "")
     out: DataFrame | None = None
     for d in range(1, depth + 1):
-        sizes = level.groupBy("node").agg(F.count("*").alias("members")).where("members > 1")
+        # Both sides are stored, so that adaptive execution can split a hot node's rows.
+        level = stored(level, "branches")
+        sizes = stored(level.groupBy("node").agg(F.count("*").alias("members")).where("members > 1"), "sizes")
         level = stored(level.join(sizes, "node"), "nodes")
         done = F.col("members") <= limit
         if d > 1:
@@ -203,7 +205,7 @@ def confirm(clusters: DataFrame, docs: DataFrame, least: int, width: int = 5, pe
                 if len(pairs):
                     yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
 
-    return met.mapInArrow(run, "a long, b long")
+    return met.mapInArrow(tidy(run), "a long, b long")
 
 
 def verify(reps, blocks, sketch, texts, words, least: int, width: int, percent: int) -> np.ndarray:

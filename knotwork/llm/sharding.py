@@ -48,6 +48,9 @@ def propagate(links: DataFrame, shards: int, targets: list[int], rounds: int = 4
         # At most `shards` rows a group: a bounded window, however large the group.
         order = Window.partitionBy("grp").orderBy(F.desc("n"), F.xxhash64(F.lit(seed), "grp", "label"))
         best = per.withColumn("k", F.row_number().over(order)).where("k = 1").select("grp", F.col("label").alias("want"), F.col("n").alias("weight"))
+        # Stored, so that the join has a plain exchange on both sides and adaptive
+        # execution can split a hot group's members.
+        best = stored(best, "wanted")
         asked = (
             seated.join(best, "grp").groupBy("row", "label", "want").agg(F.sum("weight").alias("w"))
             .groupBy("row", "label").agg(F.max_by("want", F.struct("w", "want")).alias("want"))
@@ -93,7 +96,7 @@ def shard_rows(docs: DataFrame, shards: int = 8, rounds: int = 4) -> DataFrame:
     )
     rows, total = with_global_index(base, [F.col("doc_id"), F.col("grp"), F.col("size")], "row", "sized")
     rows = stored(rows, "rows")
-    shared = rows.where("grp is not null").groupBy("grp").agg(F.count("*").alias("n")).where("n > 1").select("grp")
+    shared = stored(rows.where("grp is not null").groupBy("grp").agg(F.count("*").alias("n")).where("n > 1").select("grp"), "shared")
     links = stored(rows.select("row", "grp").join(shared, "grp").select("row", "grp"), "links")
     goal = [total // shards + (s < total % shards) for s in range(shards)]
     labels = propagate(links, shards, goal, rounds)

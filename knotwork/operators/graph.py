@@ -126,13 +126,14 @@ class GraphStore:
     @classmethod
     def build(cls, raw: DataFrame, orient: bool = True, path: str | None = None, name: str = "") -> GraphStore:
         """Normalise, renumber and write a raw (u, v) table; on demand into the
-        session's shared folder, or once for all under a path of the caller's."""
+        session's shared folder, or once for all under a path of the caller's. Edges
+        are dealt by src, and adaptive execution splits what a hub makes too large."""
         spark = raw.sparkSession
         start = time.perf_counter()
         path = path or new_path(spark, f"graph-{name}")
         vertices, edges = renumber(stored(normalise(raw), "pairs"), "degree" if orient else "id")
         vertices.write.mode("overwrite").parquet(f"{path}/vertices")
-        edges.repartition("src").sortWithinPartitions("src", "dst").write.mode("overwrite").partitionBy("down").parquet(f"{path}/edges")
+        edges.hint("rebalance", "src").sortWithinPartitions("src", "dst").write.mode("overwrite").partitionBy("down").parquet(f"{path}/edges")
         return cls._read(spark, path, orient, name, time.perf_counter() - start)
 
     @classmethod

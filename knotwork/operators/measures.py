@@ -82,7 +82,7 @@ def work(store: GraphStore, program: LoopProgram, scan_half: bool = True) -> Dat
 
 def touched(store: GraphStore, program: LoopProgram, early_exit: bool = True) -> DataFrame:
     """One row: mappings, touched: neighbour-list elements the nested loops read."""
-    return by_kernel.counted(store, program, early_exit)
+    return by_kernel.counted_many(store, [program], early_exit).select("mappings", "touched")
 
 
 def order_work(store: GraphStore, pattern: str | Pattern, model: cost.ModelGraph | None = None) -> DataFrame:

@@ -91,19 +91,22 @@ def by_kernel_trie(store: GraphStore, root: TrieNode, programs: list[LoopProgram
         search = by_kernel.Search(*shared.value, programs[0])
         total = np.zeros(n, np.int64)
 
-        def walk(node: TrieNode, chosen: list[int]) -> None:
-            for child in node.children:
-                found = search.at(child.level, chosen)
-                for slot in child.done:
-                    total[slot] += len(found)
-                if child.children:
-                    for x in found.tolist():
-                        walk(child, [*chosen, x])
+        def deeper(nodes: list[TrieNode], chosen: list[int]) -> None:
+            for node in nodes:  # their own counts are in; go on below them
+                found = search.at(node.level, chosen)
+                inner = [g for g in node.children if g.children]
+                for leaf in node.children:
+                    if len(found) and leaf.done:
+                        n = search.last(leaf.level, chosen, found)
+                        for slot in leaf.done:
+                            total[slot] += n
+                for x in found.tolist() if inner else ():
+                    deeper(inner, [*chosen, x])
 
         for b in batches:
             for u in b.column(0).to_pylist():
                 for top in root.children:
-                    walk(top, [u])
+                    deeper(top.children, [u])
         yield pa.RecordBatch.from_pydict({"slot": pa.array(range(n), pa.int32()), "mappings": total})
 
     return _table(store.spark, programs, by_kernel._roots(store).mapInArrow(run, "slot int, mappings long"))

@@ -13,11 +13,17 @@ from .program import LoopProgram
 ARRAY_DEGREE = 20_000
 
 
+#: Most directed edges for the kernel by number of labels: its two innermost loops run
+#: at once, so three labels cost one gather a vertex and four one a pair.
+KERNEL_EDGES = {3: 8_000_000, 4: 1_000_000}
+KERNEL_EDGES_MORE = 300_000
+KERNEL_DEGREE = 5_000
+
+
 def choose_executor(store: GraphStore, program: LoopProgram, mode: str = "count") -> str:
-    """``kernel`` for a graph that one executor holds many times over (larger for
-    three labels, whose search only visits edges), ``array`` for short lists and few
-    levels, else ``join``."""
-    if 2 * store.m <= (4_000_000 if program.k <= 3 else 200_000) and store.max_degree <= 2_000:
+    """``kernel`` for a graph that one executor holds many times over, ``array`` for
+    short lists and few levels, else ``join``."""
+    if 2 * store.m <= KERNEL_EDGES.get(program.k, KERNEL_EDGES_MORE) and store.max_degree <= KERNEL_DEGREE:
         return "kernel"
     if store.max_degree <= ARRAY_DEGREE and program.k <= 4 and mode == "count":
         return "array"

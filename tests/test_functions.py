@@ -139,6 +139,15 @@ def test_trie_shares_levels_and_cache_knows_isomorphs():
     assert compile_cached(CATALOG["house"].relabel((4, 3, 2, 1, 0)))[1] == 0.0
 
 
+@pytest.mark.parametrize("k", [3, 4, 5])
+def test_pruned_choice_is_the_cheapest_distinct_order(k):
+    models = (cost.ModelGraph(), cost.ModelGraph(500, 0.2), cost.ModelGraph(1000, 0.005, closing=0.4))
+    for p in [*connected_patterns(k), *(CATALOG.values() if k == 5 else ())]:
+        for g in models if p.k <= 6 else models[:1]:
+            for early in (False, True):
+                assert cost.choose(p, g, early) == cost.ranked(p, g, early_exit=early)[0][1]
+
+
 def test_fitted_model_and_early_exit():
     g = cost.ModelGraph.from_stats(100, 300, triangles=20, wedges=600)
     assert g.p == pytest.approx(600 / 9900) and g.closing == pytest.approx(0.1)

@@ -20,7 +20,8 @@ Equal vectors of a label are one representative with a weight. Lists larger than
 spanning star of each in-cell component leave the task, never all pairs.
 
 Bounds of the fit: ``sample`` vectors at most (smallest keyed hashes). The number of
-lists is the square root of the number of vectors, within [1, 1024].
+lists is twice the cube root of the number of vectors, within [1, 1024]: more lists
+mean more probes a vector, each of which carries the vector.
 
 Defined cases: vectors that are null, zero, or hold null or non-finite components,
 and rows with a null label or id, link with nothing; vectors of different lengths
@@ -35,7 +36,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import pick, runs, stored
@@ -100,8 +101,8 @@ class Index:
 
 
 def valid_vectors(df: DataFrame) -> DataFrame:
-    """vec_id, label, key: the components as doubles (binary); null where a vector
-    can have no link."""
+    """vec_id, label, key: the components (binary, see ``pack``); null where a
+    vector can have no link."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -109,29 +110,49 @@ def valid_vectors(df: DataFrame) -> DataFrame:
             for vec_id, label, v in zip(*[c.to_pylist() for c in b.columns], strict=True):
                 ok = vec_id is not None and label is not None and bool(v) and None not in v
                 x = np.array(v, np.float64) if ok else None
-                keys.append((x + 0.0).tobytes() if ok and np.isfinite(x).all() and x.any() else None)
+                keys.append(pack(x + 0.0) if ok and np.isfinite(x).all() and x.any() else None)
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(keys, pa.binary())], ["vec_id", "label", "key"])
 
     return pick(df, vec_id="long", label="long", embedding="array<double>").mapInArrow(run, "vec_id long, label long, key binary")
 
 
+def pack(x: np.ndarray) -> bytes:
+    """A vector's bytes after a mark: as 32-bit floats where that keeps every
+    component exactly, else as doubles. Equal vectors have equal bytes."""
+    with np.errstate(over="ignore"):
+        short = x.astype("<f4")
+    return b"f" + short.tobytes() if (short == x).all() else b"d" + x.astype("<f8").tobytes()
+
+
+def dim_of(key: bytes) -> int:
+    return (len(key) - 1) // (4 if key[:1] == b"f" else 8)
+
+
+def dim_column() -> Column:
+    """The same of column ``key``."""
+    return F.floor((F.length("key") - 1) / F.when(F.substring("key", 1, 1) == F.lit(b"f"), 4).otherwise(8))
+
+
 def unit(keys: list[bytes], dim: int) -> np.ndarray:
-    x = np.frombuffer(b"".join(keys), np.float64).reshape(-1, dim)
-    x = x / np.abs(x).max(axis=1, keepdims=True)  # so that squares neither overflow nor vanish
+    """Unit vectors in double precision."""
+    x = np.empty((len(keys), dim))
+    for i, k in enumerate(keys):
+        x[i] = np.frombuffer(k, "<f4" if k[:1] == b"f" else "<f8", dim, 1)
+    x /= np.abs(x).max(axis=1, keepdims=True)  # so that squares neither overflow nor vanish
     return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
 
 
 def fit(reps: DataFrame, sample: int = 20_000, seed: int = 29) -> Index | None:
     """An index over the commonest vector length, from a bounded sample."""
-    sizes = reps.groupBy(F.length("key").alias("bytes")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "bytes").first()
+    sizes = reps.groupBy(dim_column().alias("dim")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "dim").first()
     if sizes is None:
         return None
-    own = reps.where(F.length("key") == sizes["bytes"]).withColumn("h", F.xxhash64(F.lit(seed), "rep"))
-    limit = max(1, min(sample, (64 << 20) // sizes["bytes"]))  # 64 MB of vectors at most
+    own = reps.where(dim_column() == sizes["dim"]).withColumn("h", F.xxhash64(F.lit(seed), "rep"))
+    limit = max(1, min(sample, (8 << 20) // sizes["dim"]))  # 64 MB of doubles at most
     border = own.select("h").orderBy("h").limit(limit).agg(F.max("h")).first()[0]
     keys = [bytes(r[0]) for r in own.where(F.col("h") <= border).select("key").limit(limit).collect()]
-    lists = max(1, min(1024, int(math.sqrt(sizes["n"]))))
-    return Index(unit(sorted(keys), sizes["bytes"] // 8), min(lists, len(keys)))
+    lists = max(1, min(1024, int(2 * sizes["n"] ** (1 / 3))))
+    return Index(unit(sorted(keys), sizes["dim"]), min(lists, len(keys)))
 
 
 ROWS = "list long, visit int, rep long, weight long, label long, key binary, codes binary, error double"
@@ -146,8 +167,9 @@ def place(reps: DataFrame, index: Index, reach: float) -> DataFrame:
         for b in (whole.slice(at, 1024) for whole in batches for at in range(0, whole.num_rows, 1024)):
             rep, weight, label, key = [b.column(b.schema.get_field_index(c)) for c in ("rep", "weight", "label", "key")]
             keys = key.to_pylist()
-            fits = np.array([len(k) == 8 * index.dim for k in keys], bool)
-            home = np.array([-len(k) for k in keys], np.int64)  # other lengths: a list each
+            dims = np.array([dim_of(k) for k in keys], np.int64)
+            fits = dims == index.dim
+            home = -dims  # other lengths: a list each
             at, to = np.arange(len(keys)), home.copy()
             codes, errors = [b""] * len(keys), np.zeros(len(keys))
             mine = np.flatnonzero(fits)
@@ -231,7 +253,7 @@ def link(rows: DataFrame, index: Index, threshold: float, reach: float, block: i
                 if not len(ask) or not len(base):
                     continue
                 keys, codes = part.column("key").to_pylist(), part.column("codes").to_pylist()
-                x = unit(keys, len(keys[0]) // 8)
+                x = unit(keys, dim_of(keys[0]))
                 coded = np.frombuffer(b"".join(codes[i] for i in base), np.uint8).reshape(len(base), -1) if home >= 0 else None
                 i, j = matches(x[ask], x[base], coded, part.column("error").to_numpy()[base], index, home, threshold, reach)
                 a, b = ask[i], base[j]

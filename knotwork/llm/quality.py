@@ -161,7 +161,8 @@ def decide(scored: DataFrame, model: dict, tail: float = 0.001, margin: float =
     weights: list[float] = []
     if model["held"]:
         ids = spark.createDataFrame([(i,) for i in model["held"]], "doc_id long")  # bounded by `sample`
-        weights = [r[0] for r in scored.join(F.broadcast(ids), "doc_id").where("log_weight is not null").select("log_weight").limit(10 * len(model["held"])).collect()]
+        found = scored.join(F.broadcast(ids), "doc_id").where("log_weight is not null")
+        weights = [r[1] for r in found.groupBy("doc_id").agg(F.min("log_weight")).collect()]  # a row per held-out id
     if not weights:
         return -(1 << 63)
     level = float(np.quantile(weights, tail)) - margin

@@ -16,6 +16,7 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Scratch paths of this process and the sessions they belong to.
 _made: dict[str, SparkSession] = {}
 
 

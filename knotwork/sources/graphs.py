@@ -77,7 +77,6 @@ def knn(embeddings: DataFrame, k: int = 5, block: int = 4096) -> DataFrame:
     """Each vector's ``k`` most cosine-similar others (ties by id), symmetric. Blocks
     of vectors meet pairwise; each pair of blocks returns its k best a vector, so
     only k rows a vector and block reach the final ranking."""
-    spark = embeddings.sparkSession
     rows = embeddings.select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("e")).where("e is not null")
     blocks = max(1, -(-rows.count() // block))
     own = F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int")
@@ -103,7 +102,6 @@ def knn(embeddings: DataFrame, k: int = 5, block: int = 4096) -> DataFrame:
     met = asked.unionByName(told).groupBy("q", "t").applyInArrow(best, "u long, v long, s double")
     order = Window.partitionBy("u").orderBy(F.desc("s"), "v")  # at most k rows a block
     near = met.withColumn("r", F.row_number().over(order)).where(F.col("r") <= k)
-    assert spark is met.sparkSession
     return near.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct()
 
 

@@ -20,6 +20,7 @@ from ..scratch import new_path, release, stored, with_global_index
 
 __all__ = ["documents", "new_path", "partitions_for", "pick", "release", "runs", "stored", "table", "tidy", "utf8", "with_global_index"]
 
+
 def pick(df: DataFrame, **types: str) -> DataFrame:
     """Exactly the named columns, cast; a column that is missing is null."""
     have = set(df.columns)

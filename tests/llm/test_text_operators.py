@@ -260,6 +260,36 @@ def test_dropout_queries(spark):
     assert merge_dropout.round_trip(docs(spark, [])).count() == 0
 
 
+def test_dropout_draws_every_occurrence_anew(spark, pieces):
+    v, _ = pieces
+    table = docs(spark, [(i, "tokenization " * 50) for i in range(40)] + [(None, "tokenization"), (None, "tokenization tokenization")])
+    ways, texts = set(), set()
+    for r in merge_dropout.encode(table, rate=0.3).collect():
+        texts.add(tuple(r["ids"]))
+        words = "\0".join(v.raw[i].decode() for i in r["ids"]).split(" ")
+        ways.update(w.strip("\0") for w in words)
+    assert len(ways) > 20 and len(texts) >= 41
+
+
+@pytest.mark.parametrize("rate", [0.1, 0.5, 1.0])
+def test_dropout_of_many_equals_one_by_one(pieces, rate):
+    v, _ = pieces
+    rnd = random.Random(4)
+    words = ["the", "tokenization", "a", "information,", "naïve", "中文", "x" * 60, "▁", "", "5731"] + ["".join(rnd.choice("theingtionZéabc1,") for _ in range(rnd.randint(1, 41))) for _ in range(40)]
+    texts = [" ".join(rnd.choice(words) for _ in range(40)) for _ in range(200)]
+    e = merge_dropout.MergeDropout(v, rate, 1, 0)
+    keys = e.keys(list(range(len(texts))), pa.array(texts))
+    for got, text, key in zip(e.encode(pa.array(texts), keys=keys), texts, keys.tolist(), strict=True):
+        ids = []
+        for place, p in enumerate(e._pieces(pa.array([text])).to_pylist()[0], 1):
+            x = (key + place * merge_dropout._PIECE) * merge_dropout._MIX & merge_dropout._M64
+            x = (x ^ x >> 32) * merge_dropout._MIX & merge_dropout._M64
+            ids += e.segment(p, x ^ x >> 32)
+        assert np.frombuffer(got, "<u4").tolist() == ids
+    small = merge_dropout.MergeDropout(v, rate, 1, 0, limit=60)
+    assert small.encode(pa.array(texts), at_once=20, keys=keys) == e.encode(pa.array(texts), keys=keys)
+
+
 @settings(max_examples=300, deadline=None)
 @given(st.lists(st.sampled_from([*" \n\t  ab'sZé1,. \x1c\x85́İ\x01\x02", "<|endoftext|>", "'s", " the", "ABC", ", ", ". "]), max_size=60).map("".join))
 @pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])

@@ -16,6 +16,7 @@ GRAPHS: dict[str, str] = {
     "copart_s2": "p AS (SELECT DISTINCT l_orderkey AS o, l_partkey AS x FROM lineitem), e0 AS (SELECT a.x AS u, b.x AS v FROM p a JOIN p b ON a.o = b.o AND a.x < b.x GROUP BY 1, 2 HAVING count(*) >= 2)",
     "copart_all": "p AS (SELECT DISTINCT l_orderkey AS o, l_partkey AS x FROM lineitem), e0 AS (SELECT DISTINCT a.x AS u, b.x AS v FROM p a JOIN p b ON a.o = b.o AND a.x < b.x)",
     "doc_lines": "t AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents), p AS (SELECT DISTINCT doc_id AS x, line AS o FROM t WHERE length(line) >= 20), f AS (SELECT o FROM p GROUP BY o HAVING count(*) BETWEEN 2 AND 50), e0 AS (SELECT DISTINCT a.x AS u, b.x AS v FROM f JOIN p a ON a.o = f.o JOIN p b ON b.o = f.o AND a.x < b.x)",
+    "doc_lines_all": "t AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents), p AS (SELECT DISTINCT doc_id AS x, line AS o FROM t WHERE length(line) >= 20), e0 AS (SELECT DISTINCT a.x AS u, b.x AS v FROM p a JOIN p b ON a.o = b.o AND a.x < b.x)",
     "cust_supp": "e0 AS (SELECT DISTINCT least(c, s) AS u, greatest(c, s) AS v FROM (SELECT 2 * o_custkey AS c, 2 * l_suppkey + 1 AS s FROM orders JOIN lineitem ON o_orderkey = l_orderkey))",
     "cust_nation": "e0 AS (SELECT DISTINCT least(c, s) AS u, greatest(c, s) AS v FROM (SELECT CAST(2 * c_custkey AS BIGINT) AS c, CAST(2 * c_nationkey + 1 AS BIGINT) AS s FROM customer))",
     "user_chain": "q AS (SELECT lag(user_id) OVER (ORDER BY ts, user_id) AS a, user_id AS b FROM events), e0 AS (SELECT DISTINCT least(a, b) AS u, greatest(a, b) AS v FROM q WHERE a IS NOT NULL AND a <> b)",

@@ -49,7 +49,7 @@ def on(g: str, f: Callable[[GraphStore], DataFrame], orient: bool = True) -> Que
 GRAPHS = ("copart_q45", "copart_s2", "copart_all", "doc_lines", "cust_supp", "cust_nation", "user_chain", "emb_knn")
 
 # Graph building, degrees, renumbering, adjacency.
-for _g in GRAPHS:
+for _g in (*GRAPHS, "doc_lines_all"):
     add(
         f"graph_{_g}_edges",
         lambda s, sf, g=_g: graphs.from_tables(s, sf, g).select(F.least("u", "v").cast("long").alias("u"), F.greatest("u", "v").cast("long").alias("v")),
@@ -59,6 +59,10 @@ for _g in GRAPHS:
         f"graph_{_g}_stats", lambda s, sf, g=_g: graph.stats(graph.normalise(graphs.from_tables(s, sf, g))).drop("avg_degree"),
         f"{oracle.graph(_g)} SELECT count(*) AS n, CAST(sum(degree) // 2 AS BIGINT) AS m, max(degree) AS max_degree, CAST(sum(degree * (degree - 1) // 2) AS BIGINT) AS wedges FROM d",
     )
+add(
+    "graph_doc_lines_all_members", lambda s, sf: graphs.line_members(s.read.parquet(f"{sf}/documents.parquet")),
+    "WITH p AS (SELECT DISTINCT doc_id, md5(line) AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 20 AND doc_id IS NOT NULL) SELECT doc_id, line FROM p WHERE line IN (SELECT line FROM p GROUP BY line HAVING count(*) >= 2)",
+)
 for _g in ("copart_q45", "doc_lines", "cust_supp", "user_chain"):
     add(
         f"graph_{_g}_renumbered", on(_g, lambda st: st.vertices),
@@ -137,7 +141,7 @@ add(
 )
 
 # Motif counting.
-for _g in GRAPHS:
+for _g in (*GRAPHS, "doc_lines_all"):
     add(f"motif3_{_g}", on(_g, lambda st: motifs.count(st, 3)), oracle.motif3(_g))
 for _g in ("copart_q45", "copart_s2", "doc_lines", "emb_knn"):
     add(f"motif4_{_g}", on(_g, lambda st: motifs.count(st, 4)), oracle.motifs(_g, 4))

@@ -23,19 +23,30 @@ def copart(lineitem: DataFrame, min_qty: float | None = None, min_support: int =
     return pairs.distinct()
 
 
-def doc_lines(documents: DataFrame, min_chars: int = 20, max_docs: int = 50) -> DataFrame:
+def doc_lines(documents: DataFrame, min_chars: int = 20, max_docs: int | None = 50) -> DataFrame:
     """Documents that share a line of at least ``min_chars`` characters found in 2 to
-    ``max_docs`` documents. The documents of a line are collected only after the
-    count has passed, so an array never exceeds ``max_docs``."""
+    ``max_docs`` documents; with None, in any number of them. An edge table grows with
+    the square of a line's documents, so ``line_members`` holds the same links in one
+    row a document and line."""
     lines = documents.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") >= min_chars)
-    lines = lines.select("doc_id", F.md5("line").alias("line")).distinct()
-    fit = lines.groupBy("line").agg(F.count("*").alias("n")).where((F.col("n") >= 2) & (F.col("n") <= max_docs)).select("line")
-    shared = lines.join(fit, "line")
+    shared = lines.select("doc_id", F.md5("line").alias("line")).distinct()
+    if max_docs is not None:
+        fit = shared.groupBy("line").agg(F.count("*").alias("n")).where((F.col("n") >= 2) & (F.col("n") <= max_docs)).select("line")
+        shared = shared.join(fit, "line")
     a = shared.select("line", F.col("doc_id").alias("u"))
     b = shared.select("line", F.col("doc_id").alias("v"))
     return a.join(b, "line").where("u < v").select("u", "v").distinct()
 
 
+def line_members(documents: DataFrame, min_chars: int = 20) -> DataFrame:
+    """(doc_id, line) of every line of at least ``min_chars`` characters found in two
+    or more documents, by its md5: two documents are linked when they share one."""
+    lines = documents.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") >= min_chars)
+    lines = lines.select("doc_id", F.md5("line").alias("line")).where("doc_id is not null").distinct()
+    shared = lines.groupBy("line").agg(F.count("*").alias("n")).where("n >= 2").select("line")
+    return lines.join(shared, "line").select("doc_id", "line")
+
+
 def bipartite(left: DataFrame, right: DataFrame, key: str, l_id: str, r_id: str) -> DataFrame:
     """An edge for every matching row of two tables; ids 2 l and 2 r + 1."""
     return left.join(right, key).select((2 * F.col(l_id)).cast("long").alias("u"), (2 * F.col(r_id) + 1).cast("long").alias("v")).distinct()
@@ -163,6 +174,8 @@ def from_tables(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         return copart(t("lineitem"))
     if name == "doc_lines":
         return doc_lines(t("documents"))
+    if name == "doc_lines_all":
+        return doc_lines(t("documents"), max_docs=None)
     if name == "cust_supp":
         return customer_supplier(t("orders"), t("lineitem"))
     if name == "cust_nation":

@@ -228,3 +228,13 @@ def test_registry(sf):
 def test_per_vertex_sums(part):
     total = mine.per_vertex(part, "triangle", executor="join").agg(F.sum("cnt")).first()[0]
     assert total == 3 * GOLDEN["triangle"]
+
+
+def test_lines_of_any_frequency_link_documents(spark):
+    line = "a line that very many documents share"
+    table = spark.createDataFrame([(i, f"{line}\n{line}\nown line of the document {i}") for i in range(60)] + [(99, "short")], "doc_id long, text string")
+    assert graphs.doc_lines(table).count() == 0
+    edges = {tuple(r) for r in graphs.doc_lines(table, max_docs=None).collect()}
+    assert edges == {(i, j) for j in range(60) for i in range(j)}
+    members = graphs.line_members(table).collect()
+    assert sorted(r["doc_id"] for r in members) == list(range(60)) and len({r["line"] for r in members}) == 1

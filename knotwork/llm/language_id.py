@@ -249,13 +249,18 @@ def predict(docs: DataFrame, net: CompiledCNN) -> DataFrame:
     return pick(docs, doc_id="long", text="string").mapInArrow(tidy(run), PREDICTED)
 
 
-def select(docs: DataFrame, least: float = 0.3, **how) -> DataFrame:
-    """The documents with a predicted language of at least ``least``, all columns."""
+def select(docs: DataFrame, least: float = 0.0, **how) -> DataFrame:
+    """The documents with a letter and a predicted language of at least ``least``, all
+    columns; a network without labels rejects only those without a letter."""
     net = train(docs, **how)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            found = net.predict(b.column(b.schema.get_field_index("text")).cast(pa.large_binary()).to_pylist())
-            yield b.filter(pa.array([lang != "und" and p >= least for lang, p in found], pa.bool_()))
+            texts = b.column(b.schema.get_field_index("text")).cast(pa.large_binary()).to_pylist()
+            if net.labels:
+                kept = [lang != "und" and p >= least for lang, p in net.predict(texts)]
+            else:
+                kept = [has_letter(t or b"") for t in texts]
+            yield b.filter(pa.array(kept, pa.bool_()))
 
     return docs.mapInArrow(tidy(run), docs.schema)

@@ -195,6 +195,22 @@ def test_language_without_training_rows(spark):
     assert {r["lang_pred"] for r in rows} == {"und"}
 
 
+def test_language_rejects_only_texts_without_a_letter(spark, monkeypatch):
+    lettered = {8, 9, 10, 12, 13, 14, 15, 16, None}
+    nameless = docs(spark, [(i, t) for i, t, *_ in AWKWARD])
+    assert {r["doc_id"] for r in language_id.select(nameless).collect()} == lettered
+
+    class Unsure:
+        labels = ["a", "b", "c", "d", "e"]
+
+        def predict(self, texts):
+            return [("a", 0.2) if language_id.has_letter(t or b"") else ("und", 0.0) for t in texts]
+
+    monkeypatch.setattr(language_id, "train", lambda docs: Unsure())
+    assert {r["doc_id"] for r in language_id.select(docs(spark, AWKWARD)).collect()} == lettered
+    assert language_id.select(docs(spark, AWKWARD), least=0.3).count() == 0
+
+
 def test_network_gradients_and_compilation():
     rng = np.random.default_rng(0)
     net = language_id.ByteCNN(["a", "b", "c"], length=20, widths=(2, 3, 4), filters=3, embed=4)

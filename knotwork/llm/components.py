@@ -43,3 +43,11 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
         raise RuntimeError("star contraction did not settle")
     roots = pairs.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct()
     return pairs.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(roots)
+
+
+def lowest(groups: DataFrame, names: DataFrame) -> DataFrame:
+    """(rep, component_id): the smallest ``low`` of each component, from (rep,
+    component) and the representatives' (rep, low)."""
+    groups = stored(groups.join(names.select("rep", "low"), "rep"), "groups")
+    low = groups.groupBy("component").agg(F.min("low").alias("component_id"))
+    return groups.join(low, "component").select("rep", "component_id")

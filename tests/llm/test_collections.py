@@ -61,8 +61,8 @@ def brute_vectors(rows):
     return connect([r[0] for r in rows], links), {i: sum(i in p for p in links) for i, *_ in rows}
 
 
-@pytest.mark.parametrize("block", [4096, 16])
-def test_vectors_equal_brute_force(spark, block):
+@pytest.mark.parametrize("block,guests", [(4096, 1 << 16), (16, 40), (150, 30)])
+def test_vectors_equal_brute_force(spark, block, guests):
     rng = np.random.default_rng(7)
     rows, base = [], rng.normal(size=(40, 16))
     for i in range(400):
@@ -72,22 +72,13 @@ def test_vectors_equal_brute_force(spark, block):
     rows += [(600, None, 0), (601, [0.0] * 16, 0), (602, [float("nan")] * 16, 0), (603, [None, 1.0], 0), (604, rows[0][1], None), (605, [1.0, 2.0], 0), (606, [2.0, 4.0], 0), (607, [], 0), (608, [1e200, 1e200], 0), (609, [float("inf"), 1.0], 0)]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int").withColumn("key", F.lit(1)).withColumn("list", F.lit(2))
     want, links = brute_vectors(rows)
-    index_rows = {r["vec_id"]: r for r in _near(df, block).collect()}
+    index_rows = {r["vec_id"]: r for r in vector_dedup.near_vectors(df, block=block, guests=guests, sample=200).collect()}
     assert len(index_rows) == len(rows)
     assert {i: r["n_links"] for i, r in index_rows.items()} == links
     assert {i: r["component_id"] for i, r in index_rows.items()} == want
     assert all(r["kept"] == (i == r["component_id"]) for i, r in index_rows.items())
 
 
-def _near(df, block):
-    old = vector_dedup.link.__defaults__
-    vector_dedup.link.__defaults__ = (block,)
-    try:
-        return vector_dedup.near_vectors(df, sample=200)
-    finally:
-        vector_dedup.link.__defaults__ = old
-
-
 def test_vector_edges(spark):
     empty = spark.createDataFrame([], "vec_id long, embedding array<float>, label int")
     assert vector_dedup.near_vectors(empty).count() == 0

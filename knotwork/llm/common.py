@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from ..scratch import new_path, release, stored, with_global_index
 
-__all__ = ["documents", "new_path", "partitions_for", "pick", "release", "runs", "stored", "table", "tidy", "utf8", "with_global_index"]
+__all__ = ["documents", "keep_rows", "new_path", "partitions_for", "pick", "release", "runs", "stored", "table", "tidy", "utf8", "with_global_index"]
 
 
 def pick(df: DataFrame, **types: str) -> DataFrame:
@@ -35,6 +35,26 @@ def documents(df: DataFrame) -> DataFrame:
     return pick(df, doc_id="long", text="string")
 
 
+def keep_rows(docs: DataFrame, grouped: DataFrame, group: str) -> DataFrame:
+    """``docs`` with one row of each group, all columns. ``grouped`` has the rows of
+    groups by (doc_id, mark, kept): ``mark`` is the xxhash64 of the text, ``kept`` marks
+    the rows of the id that stays. Of those the smallest mark stays, and one of rows that
+    repeat it. Rows are told apart by id and text, so a text under a repeated or a
+    missing id is never lost; texts move once, to meet the rows that go."""
+    win = stored(grouped.where("kept").groupBy(group).agg(F.min("mark").alias("win")), "winners")
+    judged = stored(grouped.join(win, group).select("doc_id", "mark", (F.col("kept") & (F.col("mark") == F.col("win"))).alias("stays")), "judged")
+    gone = judged.where("not stays").select(F.col("doc_id").alias("_gone_id"), F.col("mark").alias("_gone_mark")).distinct()
+    twice = stored(judged.where("stays").groupBy(F.col("doc_id").alias("_gone_id"), F.col("mark").alias("_gone_mark")).count().where("count > 1").drop("count"), "twice")
+    marked = docs.withColumn("_row_id", F.col("doc_id").cast("long")).withColumn("_row_mark", F.xxhash64(F.col("text").cast("string")))
+    same = F.col("_row_id").eqNullSafe(F.col("_gone_id")) & (F.col("_row_mark") == F.col("_gone_mark"))
+    # The same plan at every size: the rows that go are many on a large table.
+    out = marked.join(gone.hint("merge"), same, "left_anti")
+    if not twice.isEmpty():
+        once = out.join(twice, same, "left_semi").dropDuplicates(["_row_id", "_row_mark"])
+        out = out.join(twice, same, "left_anti").unionByName(once)
+    return out.select(*[F.col(f"`{c}`") for c in docs.columns])
+
+
 def utf8(batch: pa.RecordBatch, name: str = "text") -> list:
     """A text column as Python bytes (None for null), without decoding."""
     return batch.column(batch.schema.get_field_index(name)).cast(pa.large_binary()).to_pylist()

@@ -8,11 +8,14 @@ from the nearest sample; no table of 64-bit offsets is kept.
 
 On a cluster the blocks are rows of a Parquet table (one binary payload a row, in
 ascending document order), so any store that Spark writes will do;
-``export_files`` puts the same bytes into plain files.
+``export_files`` puts the same bytes into plain files on the driver's machine. Reading
+finds every document's boundaries by ``select``.
 
 Defined cases: null and empty texts are one end id; documents come in ascending
-doc_id order, null ids first, equal ids in the order of their texts; an empty table
-gives no blocks.
+doc_id order, null ids first, equal ids in the order of their texts, repeated rows as
+documents of their own; a very long text is one document of one block, whatever the
+block size; an id that does not fit the width is refused; an empty table gives no
+blocks; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -99,8 +102,10 @@ class Block:
     @classmethod
     def build(cls, parts: list[bytes], width: int) -> Block:
         """From each document's ids as 32-bit little-endian bytes."""
-        ids = np.frombuffer(b"".join(parts), "<u4").astype(f"<u{width}")
-        return cls(ids, EliasFano.encode(np.cumsum([len(p) // 4 for p in parts])))
+        ids = np.frombuffer(b"".join(parts), "<u4")
+        if len(ids) and int(ids.max()) >> (8 * width):
+            raise ValueError(f"id {int(ids.max())} does not fit {width} bytes")
+        return cls(ids.astype(f"<u{width}"), EliasFano.encode(np.cumsum([len(p) // 4 for p in parts])))
 
     def to_bytes(self) -> bytes:
         e = self.ends
@@ -121,17 +126,29 @@ class Block:
     def document(self, i: int) -> np.ndarray:
         return self.ids[self.ends.select(i - 1) if i else 0 : self.ends.select(i)]
 
+    def boundaries(self) -> list[int]:
+        """Where each document starts, and where the last one ends."""
+        return [0, *map(self.ends.select, range(self.ends.n))]
+
+
+def width_of(tokenizer: str, end_id: int) -> int:
+    """Bytes an id, by the vocabulary file: 2 up to 65,536 ids, else 4."""
+    from tokenizers import Tokenizer
+
+    vocabulary = Tokenizer.from_file(tokenizer_path(tokenizer)).get_vocab(with_added_tokens=True)
+    return 2 if max(end_id, *vocabulary.values()) < 1 << 16 else 4
+
 
 BLOCKS = "part int, block int, first long, n_tokens long, doc_ids binary, null_ids int, payload binary"
 
 
-def write_blocks(docs: DataFrame, path: str, tokenizer: str = "word_bpe_49k.json", end_id: int = 2, block_tokens: int = 1 << 20, width: int = 2, partitions: int | None = None) -> None:
+def write_blocks(docs: DataFrame, path: str, tokenizer: str = "word_bpe_49k.json", end_id: int = 2, block_tokens: int = 1 << 20, width: int | None = None, partitions: int | None = None) -> None:
     """Encode every document and write blocks in ascending doc_id order.
 
-    ``width`` is the bytes of an id (2 for vocabularies up to 65,536). The raw
+    ``width`` is the bytes of an id (by default what the vocabulary needs). The raw
     texts are dealt by range of doc_id before they are encoded, so tokenizing
     happens once and every task's documents are already in order."""
-    end = np.array([end_id], "<u4").tobytes()
+    end, width = np.array([end_id], "<u4").tobytes(), width or width_of(tokenizer, end_id)
     parts = partitions or int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     ordered = documents(docs).repartitionByRange(parts, "doc_id", F.xxhash64("text")).sortWithinPartitions("doc_id", F.xxhash64("text"), "text")
 
@@ -177,10 +194,10 @@ def read_blocks(spark, path: str) -> DataFrame:
             for k in range(b.num_rows):
                 row = {n: b.column(i)[k].as_py() for i, n in enumerate(b.schema.names)}
                 block, _ = Block.from_bytes(row["payload"])
-                ends = block.ends.all()
-                starts = np.concatenate([[0], ends[:-1]]).astype(np.int64)
-                wide = block.ids.astype("<u4").tobytes()
-                crc = [zlib.crc32(wide[4 * a : 4 * z]) for a, z in zip(starts.tolist(), ends.tolist(), strict=True)]
+                at = block.boundaries()
+                wide = memoryview(block.ids.astype("<u4").tobytes())
+                crc = [zlib.crc32(wide[4 * a : 4 * z]) for a, z in zip(at, at[1:], strict=False)]
+                starts, ends = np.array(at[:-1], np.int64), np.array(at[1:], np.int64)
                 doc_ids = [None] * row["null_ids"] + np.frombuffer(row["doc_ids"], "<i8").tolist()
                 yield pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(starts + row["first"] + row["lift"]), pa.array(ends - starts), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 

@@ -4,19 +4,23 @@ Every partition packs its pieces by best fit decreasing and computes a lower bou
 on its bins from dual-feasible functions. Where bins equal the bound the partition
 is certified and its bins are sealed. The others have a gap: they keep bins that
 are full but for ``slack`` tokens and release the rest; released pieces are dealt
-anew (a different hash, larger partitions) and packed again. A round that does not
-lower the number of bins is discarded. Partitions are bounded in pieces, so one
-document with very many pieces is spread like any others.
+anew (a different hash, larger partitions) and packed again, until no partition has
+a gap or a round does not lower the number of bins (that round is discarded).
+Partitions are bounded in pieces, so one document with very many pieces is spread
+like any others.
 
 Defined cases: null and empty texts are one end token; null doc_ids keep their
-place; equal doc_ids are packed as separate documents (a row number joins ids and
-pieces inside one task, never a join on doc_id); an empty table gives no pieces.
+place; repeated rows and equal doc_ids are packed as separate documents (a row number
+joins ids and pieces inside one task, never a join on doc_id); pieces of equal length
+take places in any order; a very long text is cut into as many pieces as it needs; an
+empty table gives no pieces; other columns are ignored.
 """
 
 from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
+from itertools import count
 
 import numpy as np
 import pyarrow as pa
@@ -88,9 +92,13 @@ def lower_bound(lengths: np.ndarray, most: int) -> int:
     """The best of three families of dual-feasible functions, in whole numbers:
     dropping small items against rounding up large ones, the k-step staircase,
     and rounding down multiples of a unit with the complement for large items."""
-    if not len(lengths):
+    return bound_of_counts(np.bincount(lengths, minlength=most + 1).astype(np.int64), most)
+
+
+def bound_of_counts(count: np.ndarray, most: int) -> int:
+    """The same from the number of items of each length 0..most."""
+    if not count.any():
         return 0
-    count = np.bincount(lengths, minlength=most + 1).astype(np.int64)
     x = np.arange(most + 1, dtype=np.int64)
     up = lambda a, b: -(-int(a) // int(b))
     best = up((count * x).sum(), most)
@@ -132,9 +140,9 @@ def _pack_round(rows: DataFrame, turn: int, parts: int, most: int, slack: int) -
     return dealt.mapInArrow(tidy(run), PACKED)
 
 
-def pack(rows: DataFrame, most: int = 2048, per_task: int = 100_000, slack: int = 1, rounds: int = 3) -> DataFrame:
+def pack(rows: DataFrame, most: int = 2048, per_task: int = 100_000, slack: int = 1) -> DataFrame:
     """Pieces (PIECES columns, lengths 1..most) with sequence_id and offset, and
-    the certificate of the partition that packed them (bins, bound)."""
+    the certificate of the partition that packed them (bins, bound, sealed)."""
     spark = rows.sparkSession
     wide = int(spark.conf.get("spark.sql.shuffle.partitions"))
     n = rows.count()
@@ -142,7 +150,7 @@ def pack(rows: DataFrame, most: int = 2048, per_task: int = 100_000, slack: int
     parts = max(1, min(wide, n // 2000), -(-n // per_task))
     state = stored(_pack_round(rows, 0, parts, most, slack), "packed")
     done: list[DataFrame] = []
-    for turn in range(1, rounds):
+    for turn in count(1):
         pool = state.where("not sealed")
         n, bins = pool.agg(F.count("*"), F.count_distinct("sequence_id")).first()
         if not n or (parts == 1 and turn > 1):
@@ -179,8 +187,14 @@ def sequences(docs: DataFrame, packed: DataFrame, **how) -> DataFrame:
     return grouped.mapInArrow(tidy(decode), "sequence_id long, ids array<long>")
 
 
-def certificate(packed: DataFrame) -> DataFrame:
-    """One row: sequences used, the lower bound over all pieces' lengths by total
-    mass, and the mean fill."""
+def certificate(packed: DataFrame, most: int = 2048) -> DataFrame:
+    """One row: sequences used, the lower bound over all pieces' lengths, their
+    difference, tokens, and the mean and the largest fill."""
+    lengths = packed.groupBy("length").agg(F.count("*").alias("n")).collect()  # `most` rows at most
+    held = np.zeros(most + 1, np.int64)
+    for length, n in lengths:
+        held[length] = n
+    bound = F.lit(bound_of_counts(held, most)).cast("long")
     per = packed.groupBy("sequence_id").agg(F.sum("length").alias("fill"))
-    return per.agg(F.count("*").alias("sequences"), F.sum("fill").alias("tokens"), F.max("fill").alias("fullest"))
+    total = per.agg(F.count("*").alias("sequences"), F.coalesce(F.sum("fill"), F.lit(0)).alias("tokens"), F.avg("fill").alias("mean_fill"), F.max("fill").alias("fullest"))
+    return total.select("sequences", bound.alias("bound"), (F.col("sequences") - bound).alias("gap"), "tokens", "mean_fill", "fullest")

@@ -8,10 +8,13 @@ and gives the span. A match starts and ends at word borders of the normalised te
 (words joined by single spaces).
 
 Whole texts are scanned. Exact phrases ("base" places) are counted separately: all
-places where a phrase's words stand consecutively.
+places where a phrase's words stand consecutively. ``best`` names each notice's best
+span: the fewest edits, then the first word, then the fewest words.
 
 Defined cases: null text counts as empty (no words, no labels, score 0); empty
-tables give no rows; repeated rows and null doc_ids are scanned like any other.
+tables give no rows; repeated rows and null doc_ids are scanned like any other; of
+overlapping matches of a notice the one with fewer edits is a span; very long texts
+are scanned whole, by exact search for the pieces; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -126,25 +129,41 @@ class Scanner:
                             out.append((notice.label, notice.words, before + text.count(" ", 0, m.start()), m.group().count(" ") + 1, e))
         return out
 
-    def best(self, words: bytes) -> dict[str, float]:
-        """The similarity 1 - edits / length of each label's best notice."""
-        out: dict[str, float] = {}
-        for label, words_, _, _, edits in self.spans(words):
-            out[label] = max(out.get(label, 0.0), 1 - edits / len(words_))
-        return out
-
-
-SCANNED = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, spans array<struct<label:string,notice:string,first_word:long,n_words:long,edits:int>>"
+    def best(self, words: bytes, spans: list[tuple[str, str, int, int, int]]) -> str:
+        """notice:first word:words:edits of each notice's best span, joined by |."""
+        out = []
+        for notice in self.notices:
+            own = min(((e, at) for label, text, at, _, e in spans if (label, text) == (notice.label, notice.words)), default=None)
+            if own is not None:
+                e, at = own
+                rest = words.split(b" ", at + len(notice.words) + e)[at:]
+                n = next(n for n in range(1, len(rest) + 1) if edits(" ".join(w.decode("utf-8", "replace") for w in rest[:n]), notice.words) == e)
+                out.append(f"{notice.words}:{at}:{n}:{e}")
+        return "|".join(sorted(out))
+
+
+def edits(a: str, b: str) -> int:
+    """The least number of inserted, deleted or substituted characters."""
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        last, row[0] = row[0], i
+        for j, y in enumerate(b, 1):
+            last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+    return row[-1]
+
+
+SCANNED = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, best string, spans array<struct<label:string,notice:string,first_word:long,n_words:long,edits:int>>"
 _SPAN = pa.list_(pa.struct([("label", pa.string()), ("notice", pa.string()), ("first_word", pa.int64()), ("n_words", pa.int64()), ("edits", pa.int32())]))
 
 
 def scan(docs: DataFrame, notices=NOTICES, base: dict[str, str] = BASE) -> DataFrame:
     """One row per document: word and base-place counts, labels, score (the best
-    similarity of any notice; 1 for an exact one) and the fuzzy spans."""
+    similarity of any notice; 1 for an exact one), each notice's best span (see
+    ``Scanner.best``) and all fuzzy spans."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scanner = Scanner(notices, base)
-        kinds = [pa.int64()] * 4 + [pa.string()] * 2 + [pa.float64(), _SPAN]
+        kinds = [pa.int64()] * 4 + [pa.string()] * 2 + [pa.float64(), pa.string(), _SPAN]
         for b in batches:
             rows: list[list] = [[] for _ in kinds]
             for text in utf8(b):
@@ -155,7 +174,7 @@ def scan(docs: DataFrame, notices=NOTICES, base: dict[str, str] = BASE) -> DataF
                 starts = [i for i, _ in places]
                 row = (
                     words.count(b" ") + 1 if words else 0, len(places), min(starts, default=None), max(starts, default=None),
-                    ",".join(sorted(own)), ",".join(sorted(own | {s[0] for s in spans})), score,
+                    ",".join(sorted(own)), ",".join(sorted(own | {s[0] for s in spans})), score, scanner.best(words, spans),
                     [dict(zip(("label", "notice", "first_word", "n_words", "edits"), s, strict=True)) for s in spans],
                 )
                 for column, value in zip(rows, row, strict=True):

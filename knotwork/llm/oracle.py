@@ -58,15 +58,19 @@ WITH d AS (
 ), b(label, phrase, n) AS (VALUES ('mit', 'mit license', 2), ('apache', 'apache license', 2), ('gpl', 'general public license', 3)),
 p AS (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM d),
 s AS (SELECT doc_id, i, k, array_to_string(w[i:i + k - 1], ' ') AS x FROM p, range(1, 14) t(k) WHERE i + k - 1 <= len(w)),
-f AS (
-  SELECT s.doc_id, m.label, max(1 - CAST(levenshtein(s.x, m.notice) AS DOUBLE) / length(m.notice)) AS best
-  FROM s JOIN m ON length(s.x) >= length(m.notice) - m.e AND length(s.x) <= length(m.notice) + m.e WHERE levenshtein(s.x, m.notice) <= m.e GROUP BY 1, 2
+t AS (
+  SELECT s.doc_id, m.label, m.notice, s.i - 1 AS i, s.k, levenshtein(s.x, m.notice) AS e
+  FROM s JOIN m ON length(s.x) >= length(m.notice) - m.e AND length(s.x) <= length(m.notice) + m.e WHERE levenshtein(s.x, m.notice) <= m.e
+), f AS (SELECT doc_id, label, max(1 - CAST(e AS DOUBLE) / length(notice)) AS best FROM t GROUP BY 1, 2),
+v AS (
+  SELECT doc_id, string_agg(notice || ':' || i || ':' || k || ':' || e, '|' ORDER BY notice) AS best
+  FROM (SELECT *, row_number() OVER (PARTITION BY doc_id, notice ORDER BY e, i, k) AS r FROM t) WHERE r = 1 GROUP BY 1
 ), g AS (SELECT s.doc_id, s.i - 1 AS i, b.label FROM s JOIN b ON s.k = b.n AND s.x = b.phrase),
 h AS (SELECT doc_id, count(*) AS n_base, min(i) AS first_word, max(i) AS last_word, string_agg(DISTINCT label, ',' ORDER BY label) AS base_labels FROM g GROUP BY 1),
 l AS (SELECT doc_id, string_agg(DISTINCT label, ',' ORDER BY label) AS labels FROM (SELECT doc_id, label FROM f UNION SELECT doc_id, label FROM g) GROUP BY 1),
 c AS (SELECT doc_id, max(best) AS best FROM (SELECT doc_id, best FROM f UNION ALL SELECT doc_id, 1.0 FROM g) GROUP BY 1)
 SELECT d.doc_id, len(d.w) AS n_words, coalesce(h.n_base, 0) AS n_base, h.first_word, h.last_word,
-       coalesce(h.base_labels, '') AS base_labels, coalesce(l.labels, '') AS labels, coalesce(c.best, 0.0) AS score
-FROM d LEFT JOIN h USING (doc_id) LEFT JOIN l USING (doc_id) LEFT JOIN c USING (doc_id)
+       coalesce(h.base_labels, '') AS base_labels, coalesce(l.labels, '') AS labels, coalesce(c.best, 0.0) AS score, coalesce(v.best, '') AS best
+FROM d LEFT JOIN h USING (doc_id) LEFT JOIN l USING (doc_id) LEFT JOIN c USING (doc_id) LEFT JOIN v USING (doc_id)
 """,
 }

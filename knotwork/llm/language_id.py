@@ -11,12 +11,15 @@ filter place, so a convolution is a sum of table look-ups; for widths 2 and 3 ov
 reduced byte classes the sums themselves are tabulated. Both give the trained
 network's outputs.
 
-Bounds of the fit: ``sample`` training texts at most (smallest keyed hashes of
-doc_id), ``windows`` windows of each.
+Bounds of the fit: the ``languages`` commonest values of lang, ``per_language``
+different texts of each (smallest keyed hashes of the text, so copies count once), and
+``per_text`` windows of each text, drawn by keyed hash from the whole of it.
 
 Defined cases: null texts and texts without a letter are ``und`` with score 0; with
 no training rows every text is ``und``; language, source and id of a row never
-enter its prediction; repeated rows get equal answers.
+enter its prediction; repeated rows get equal answers; equal probabilities go to the
+first language by name; every window of a very long text counts; an empty table gives
+an empty result; other columns are ignored by ``predict`` and pass through ``select``.
 """
 
 from __future__ import annotations
@@ -26,10 +29,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import xxhash
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import pick, tidy
+from .common import pick, stored, tidy
 
 #: Byte classes: lower-case letters (upper case folded), digits, white space, ASCII
 #: punctuation, and the bytes of multi-byte characters one by one.
@@ -205,31 +209,48 @@ def has_letter(text: bytes) -> bool:
     return any(map(str.isalpha, text.decode("utf-8", "replace")))
 
 
-def training_rows(docs: DataFrame, sample: int, seed: int = 23) -> list[tuple[bytes, str]]:
-    """At most ``sample`` labelled texts outside the held-out fold. A first pass
-    over ids finds the hash below which the sample lies; a second reads its texts."""
-    d = pick(docs, doc_id="long", lang="string", text="string").where("doc_id is not null and lang is not null")
-    d = d.where(F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(3)) != 1)
-    d = d.withColumn("h", F.xxhash64(F.lit(seed), "doc_id"))
-    first = d.select("h").orderBy("h").limit(sample).agg(F.max("h")).first()[0]
-    if first is None:
+def drawn_windows(text: bytes, length: int, most: int, seed: int) -> list[bytes]:
+    """At most ``most`` windows of a text, by keyed hash of their places."""
+    places = range(0, max(1, len(text)), length)
+    if len(places) > most:
+        places = sorted(places, key=lambda at: xxhash.xxh3_64_intdigest(at.to_bytes(8, "little"), seed))[:most]
+    return [text[at : at + length] for at in places]
+
+
+def training_windows(docs: DataFrame, per_language: int, languages: int, per_text: int, length: int, seed: int = 23) -> list[tuple[bytes, str]]:
+    """(window, lang) of the bounded sample outside the held-out fold. A first pass
+    over hashes finds each language's border; a second cuts the windows where the
+    texts lie."""
+    d = pick(docs, doc_id="long", lang="string", text="string").where("doc_id is not null and lang is not null and text is not null")
+    d = d.where(F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(3)) != 1).withColumn("h", F.xxhash64(F.lit(seed), "text"))
+    hashes = stored(d.groupBy("lang", "h").agg(F.count("*").alias("n")), "hashes")
+    common = hashes.groupBy("lang").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "lang").limit(languages).select("lang")
+    rank = F.row_number().over(Window.partitionBy("lang").orderBy("h"))  # every task keeps its first ones only
+    first = hashes.join(F.broadcast(common), "lang").withColumn("r", rank).where(F.col("r") <= per_language)
+    borders = {r["lang"]: r["h"] for r in first.groupBy("lang").agg(F.max("h").alias("h")).collect()}  # a row a language
+    if not borders:
         return []
-    rows = d.where((F.col("h") <= first) & F.col("text").isNotNull()).select("text", "lang", "h", "doc_id").orderBy("h", "doc_id", "text").limit(sample)
-    # Windows come from the start of training texts only; predictions read whole texts.
-    return [(r[0].encode()[: 1 << 16], r[1]) for r in rows.select(F.substring("text", 1, 1 << 14), "lang").collect()]
+    border = F.create_map(*[F.lit(x) for pair in borders.items() for x in pair])
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            out: list[list] = [[], [], []]
+            for lang, h, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).cast(pa.large_binary()).to_pylist(), strict=True):
+                for w in drawn_windows(text, length, per_text, h & ((1 << 64) - 1)) if has_letter(text) else []:
+                    for column, x in zip(out, (lang, h, w), strict=True):
+                        column.append(x)
+            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.string()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary())], ["lang", "h", "piece"])
+
+    some = d.where(F.col("h") <= border[F.col("lang")]).select("lang", "h", "text").mapInArrow(tidy(cut), "lang string, h long, piece binary")
+    return [(bytes(r["piece"]), r["lang"]) for r in some.distinct().orderBy("lang", "h", "piece").collect()]  # the bounded sample
 
 
-def train(docs: DataFrame, sample: int = 3000, per_text: int = 2, length: int = 256) -> CompiledCNN:
-    rows = [(t, y) for t, y in training_rows(docs, sample) if has_letter(t)]
+def train(docs: DataFrame, per_language: int = 750, languages: int = 64, per_text: int = 2, length: int = 256) -> CompiledCNN:
+    rows = training_windows(docs, per_language, languages, per_text, length)
     labels = sorted({y for _, y in rows})
-    xs, ys = [], []
-    for text, lang in rows:
-        x = windows(text, length)[:per_text]
-        xs.append(x)
-        ys += [labels.index(lang)] * len(x)
     net = ByteCNN(labels, length)
     if rows:
-        net.train(np.concatenate(xs), np.array(ys))
+        net.train(np.concatenate([windows(w, length) for w, _ in rows]), np.array([labels.index(y) for _, y in rows]))
     return net.compile()
 
 

@@ -8,17 +8,22 @@ n-gram cannot outweigh a text. A bigram of a word with itself has one bucket of
 own, whatever the word.
 
 The sample is drawn without replacement in proportion to the weights: keyed Gumbel
-noise is added to each log weight and the k largest keys stay. k is the number of
-documents, counted over all of them, whose weight reaches the level that all but
-``tail`` of the held-out good labels reach. The k-th key is found exactly by
-counting key prefixes, never by a sort on one machine.
+noise is added to each log weight and the k largest keys stay. ``k`` may be given.
+Otherwise it is the number of documents, counted over all of them, whose log weight
+reaches a level: what all but ``tail`` of the held-out good labels reach, less
+``margin``. The weight of a whole text is a product over its n-grams, so among long
+texts the noise decides only between weights that are close. The k-th key is found
+exactly by counting key prefixes, never by a sort on one machine.
 
 Parameters that bound a fit: ``sample`` labelled rows at most (those with the
 smallest keyed hash of doc_id), one fifth of them held out for the level.
 
 Defined cases: null, empty and wordless texts have no weight and are never sampled;
-without good labels every text with words stays; equal keys at the border all stay;
-null doc_ids take part with a fixed noise; extra columns pass through ``select``.
+without good labels every text with words stays unless k is given; equal keys at the
+border all stay; null doc_ids take part with a fixed noise; repeated rows get equal keys,
+rows of one doc_id with different texts equal noise and their own weights; very long
+texts are read whole; an empty table gives an empty result; extra columns pass through
+``select``.
 """
 
 from __future__ import annotations
@@ -155,8 +160,11 @@ def kth_largest(df: DataFrame, bits: str, k: int) -> int | None:
     return prefix
 
 
-def decide(scored: DataFrame, model: dict, tail: float = 0.001, margin: float = 1.0) -> int:
+def decide(scored: DataFrame, model: dict, tail: float = 0.001, margin: float = 1.0, k: int | None = None) -> int:
     """The smallest key (as bits) that is sampled."""
+    if k is not None:
+        cut = kth_largest(scored, "key_bits", k)
+        return ((1 << 63) - 1 if k <= 0 else -(1 << 63)) if cut is None else cut
     spark = scored.sparkSession
     weights: list[float] = []
     if model["held"]:
@@ -171,19 +179,19 @@ def decide(scored: DataFrame, model: dict, tail: float = 0.001, margin: float =
     return (1 << 63) - 1 if cut is None else cut
 
 
-def resample(docs: DataFrame, labels: DataFrame, tail: float = 0.001, **how) -> DataFrame:
+def resample(docs: DataFrame, labels: DataFrame, tail: float = 0.001, margin: float = 1.0, k: int | None = None, **how) -> DataFrame:
     """Every document's weight, key and decision: doc_id, log_weight, key, kept."""
     model = fit(docs, labels, **how)
     scored = stored(score(docs, model), "scored")
-    cut = decide(scored, model, tail)
+    cut = decide(scored, model, tail, margin, k)
     return scored.select("doc_id", "log_weight", "key", F.coalesce(F.col("key_bits") >= F.lit(cut), F.lit(False)).alias("kept"))
 
 
-def select(docs: DataFrame, labels: DataFrame, tail: float = 0.001, **how) -> DataFrame:
+def select(docs: DataFrame, labels: DataFrame, tail: float = 0.001, margin: float = 1.0, k: int | None = None, **how) -> DataFrame:
     """The sampled documents with all their columns. They are scored again where
     they lie, so no text crosses the network."""
     model = fit(docs, labels, **how)
-    cut = decide(stored(score(docs, model), "scored"), model, tail)
+    cut = decide(stored(score(docs, model), "scored"), model, tail, margin, k)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         features = Features(model["buckets"])

@@ -2,8 +2,8 @@
 
 Documents that belong together (members of one link group, or the ends of an edge)
 are pulled into one shard: every round joins the members with their groups' shard
-histogram, lets each member ask for the shard where most of its neighbours are,
-and grants the requests in a keyed-hash order up to the quotas that keep every
+histogram, lets each member ask for the shard where most of its neighbours are (of
+those with room, if no shard can hold the group), and grants the requests in a keyed-hash order up to the quotas that keep every
 shard within its target. A last exact step settles the row counts: members that
 exceed their shard's target and documents without links fill the open places.
 
@@ -14,7 +14,9 @@ hot group is a histogram of at most ``shards`` rows on the other side of the joi
 
 Defined cases: null text has size 1 and checksum 0 and no links; empty texts are
 linked with each other; null doc_ids are numbered like any other row; repeated rows
-are members of one group; fewer rows than shards leave the last shards empty.
+are members of one group; equal requests and votes are settled by keyed hash; fewer
+rows than shards leave the last shards empty; a very long text is one row like any
+other; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -43,17 +45,26 @@ def propagate(links: DataFrame, shards: int, targets: list[int], rounds: int = 4
     label = F.pmod(F.xxhash64(F.lit(seed), F.col("row")), F.lit(shards)).cast("int")
     state = stored(links.select("row").distinct().withColumn("label", label), "labels")
     for turn in range(rounds):
+        loads = {r["label"]: r["n"] for r in state.groupBy("label").agg(F.count("*").alias("n")).collect()}
+        open_ = [s for s in range(shards) if loads.get(s, 0) < targets[s]]
         seated = links.join(state, "row")
-        per = seated.groupBy("grp", "label").agg(F.count("*").alias("n"))
-        # At most `shards` rows a group: a bounded window, however large the group.
-        order = Window.partitionBy("grp").orderBy(F.desc("n"), F.xxhash64(F.lit(seed), "grp", "label"))
-        best = per.withColumn("k", F.row_number().over(order)).where("k = 1").select("grp", F.col("label").alias("want"), F.col("n").alias("weight"))
-        # Stored, so that the join has a plain exchange on both sides and adaptive
+        # Stored, so that the joins have a plain exchange on both sides and adaptive
         # execution can split a hot group's members.
+        per = stored(seated.groupBy("grp", "label").agg(F.count("*").alias("weight")), "histogram")
+        # At most `shards` rows a group: bounded windows, however large the group. A group
+        # that no shard can hold asks for its fullest shard with room, any other for its
+        # fullest, since opposite moves between full shards still cancel.
+        whole = F.sum("weight").over(Window.partitionBy("grp"))
+        order = Window.partitionBy("grp").orderBy(F.desc("weight"), F.xxhash64(F.lit(seed), "grp", "label"))
+        sized = per.withColumn("split", whole > F.lit(max(targets))).where(~F.col("split") | F.col("label").isin(open_))
+        best = sized.withColumn("k", F.row_number().over(order)).where("k = 1").select("grp", F.col("label").alias("want"), "weight", "split")
         best = stored(best, "wanted")
+        votes = seated.join(best, "grp")
+        # Members of such a group vote for where they are, too, and stay in its fuller shards.
+        stay = votes.where("split and want <> label").select("row", "grp", "label").join(per, ["grp", "label"]).select("row", "label", F.col("label").alias("want"), "weight")
         asked = (
-            seated.join(best, "grp").groupBy("row", "label", "want").agg(F.sum("weight").alias("w"))
-            .groupBy("row", "label").agg(F.max_by("want", F.struct("w", "want")).alias("want"))
+            votes.select("row", "label", "want", "weight").unionByName(stay).groupBy("row", "label", "want").agg(F.sum("weight").alias("w"))
+            .groupBy("row", "label").agg(F.max_by("want", F.struct("w", F.col("want") != F.col("label"), "want")).alias("want"))
         )
         asked = stored(asked.withColumn("turn", F.pmod(F.xxhash64(F.lit(seed + turn), F.col("row")), F.lit(1 << 20))), "asked")
         flows = {(r["label"], r["want"]): r["n"] for r in asked.groupBy("label", "want").agg(F.count("*").alias("n")).collect()}
@@ -147,3 +158,10 @@ def cut(assigned: DataFrame, edges: DataFrame) -> DataFrame:
     a = assigned.select(F.col("doc_id").alias("src"), F.col("shard").alias("s"))
     b = assigned.select(F.col("doc_id").alias("dst"), F.col("shard").alias("d"))
     return edges.join(a, "src").join(b, "dst").agg(F.count("*").alias("n_edges"), F.sum((F.col("s") != F.col("d")).cast("long")).alias("n_cut"))
+
+
+def cut_groups(assigned: DataFrame, goal: int) -> DataFrame:
+    """One row from (grp, shard) rows: groups of two or more, those in several shards,
+    and those that must be because they exceed ``goal``, a shard's count."""
+    per = assigned.groupBy("grp", "shard").agg(F.count("*").alias("n")).groupBy("grp").agg(F.sum("n").alias("n"), F.count("*").alias("shards")).where("n > 1")
+    return per.agg(F.count("*").alias("groups"), F.count_if(F.col("shards") > 1).alias("cut"), F.count_if(F.col("n") > goal).alias("least"))

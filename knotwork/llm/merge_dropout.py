@@ -18,8 +18,9 @@ literal U+2581 in a text, which the model would confuse with a space, is written
 bytes.
 
 Defined cases: null and empty texts have no ids and decode to the empty text; a null
-doc_id draws by a hash of the text; repeated rows get the same ids; other columns are
-ignored.
+doc_id draws by a hash of the text; repeated rows get the same ids; pieces of equal
+score merge leftmost first; a very long text is encoded whole, a very long word by a
+heap; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations

@@ -187,7 +187,21 @@ def test_sequences_hold_the_pieces(spark):
     for r in packed.collect():
         ids = found[r["sequence_id"]][r["offset"] : r["offset"] + r["length"]]
         assert zlib.crc32(np.array(ids, "<u4").tobytes()) == r["ids_crc32"]
-    assert packing.certificate(packed).first()["fullest"] <= 2048
+    c = packing.certificate(packed).first()
+    lengths = [r["length"] for r in packed.collect()]
+    assert c["fullest"] <= 2048 and c["sequences"] == len(found) and c["bound"] == packing.lower_bound(np.array(lengths), 2048) <= c["sequences"]
+    assert c["gap"] == c["sequences"] - c["bound"] and c["tokens"] == sum(lengths) and c["mean_fill"] == pytest.approx(sum(lengths) / len(found))
+    assert packing.certificate(packed.limit(0)).first()["sequences"] == 0
+
+
+def test_rounds_go_on_while_they_help(spark):
+    rng = np.random.default_rng(5)
+    rows = [(i, 0, 0, int(n), i) for i, n in enumerate(rng.integers(300, 1200, 4000))]
+    table = spark.createDataFrame(rows, packing.PIECES)
+    first = packing._pack_round(table, 0, 40, 2048, 1).select("sequence_id").distinct().count()
+    out = packing.pack(table, per_task=100)
+    c = packing.certificate(out).first()
+    assert out.count() == 4000 and c["fullest"] <= 2048 and c["bound"] <= c["sequences"] < first
 
 
 # sharding ---------------------------------------------------------------------
@@ -205,7 +219,9 @@ def test_shards_are_even_and_keep_groups(spark):
     for r in out:
         assert r["size"] == len(text[r["doc_id"]].encode()) + 1 and r["text_crc32"] == zlib.crc32(text[r["doc_id"]].encode()) and r["law"] == "rows" and r["grown_shard"] is None
         groups.setdefault(text[r["doc_id"]], set()).add(r["shard"])
-    assert sum(len(g) > 1 for t, g in groups.items() if t.startswith("t")) <= 8
+    rows_ = spark.createDataFrame([(text[r["doc_id"]], r["shard"]) for r in out], "grp string, shard int")
+    c = sharding.cut_groups(rows_, 125).first()
+    assert (c["groups"], c["cut"], c["least"]) == (60, 0, 0) and sum(len(g) > 1 for g in groups.values()) == 0
 
 
 def test_a_hot_group_spreads_only_as_far_as_it_must(spark):
@@ -213,6 +229,7 @@ def test_a_hot_group_spreads_only_as_far_as_it_must(spark):
     out = sharding.shard_rows(docs(spark, rows)).collect()
     sizes = [sum(r["shard"] == s for r in out) for s in range(8)]
     assert max(sizes) - min(sizes) <= 1 and sum(sizes) == 600
+    assert len({r["shard"] for r in out if r["doc_id"] % 3 == 0}) <= 4  # 200 rows, at least three shards of 75
 
 
 def test_shard_edges_cases(spark):
@@ -406,6 +423,11 @@ def test_token_files_round_trip(spark, tmp_path):
     assert back == whole
     with pytest.raises(ValueError):
         token_blocks.Block.from_bytes(b"x" * 80)
+    wide = np.array([70_000, 2], "<u4").tobytes()
+    with pytest.raises(ValueError):
+        token_blocks.Block.build([wide], 2)
+    assert token_blocks.Block.build([wide, wide[4:]], 4).document(0).tolist() == [70_000, 2] and token_blocks.width_of("word_bpe_49k.json", 2) == 2
+    assert token_blocks.width_of("word_bpe_49k.json", 70_000) == 4
     assert token_blocks.round_trip(docs(spark, [])).count() == 0
 
 

@@ -14,7 +14,7 @@ from hypothesis import strategies as st
 from knotwork.llm import exact_dedup, language_id, license_scan, merge_dropout, quality, queries
 from knotwork.llm.tokenization import PieceEncoder, tokenizer_path
 
-from .helpers import AWKWARD, docs
+from .helpers import AWKWARD, LONG, docs
 
 
 def lev(a, b, cap):
@@ -66,6 +66,15 @@ def test_license_scan_equals_brute_force(spark):
         assert r["base_labels"] == ",".join(sorted({v for _, v in places}))
         assert r["labels"] == ",".join(sorted({v for _, v in places} | set(best))), t
         assert r["score"] == pytest.approx(max([*best.values(), 1.0 if places else 0.0], default=0.0)), t
+        spans = {}
+        for _, notice, e in license_scan.NOTICES:
+            n = notice.count(" ") + 1
+            for i in range(len(words)):
+                for m in range(max(1, n - e), n + e + 1):
+                    window = " ".join(words[i : i + m])
+                    if i + m <= len(words) and abs(len(window) - len(notice)) <= e and (d := lev(window, notice, e)) <= e:
+                        spans[notice] = min(spans.get(notice, (9, 0, 0)), (d, i, m))
+        assert r["best"] == "|".join(f"{x}:{i}:{m}:{d}" for x, (d, i, m) in sorted(spans.items())), t
         for s in r["spans"]:
             window = " ".join(words[s["first_word"] : s["first_word"] + s["n_words"]])
             assert lev(window, s["notice"], 9) == s["edits"]
@@ -186,7 +195,63 @@ def test_quality_separates_and_resamples(spark):
     assert all(out[i]["log_weight"] is None and not out[i]["kept"] for i in (900, 901, 902))
     kept = quality.select(docs(spark, rows), labels)
     assert kept.columns == docs(spark, []).columns
-    assert {r["doc_id"] for r in kept.collect()} == {i for i in range(365) if out[i]["kept"]} or kept.count() >= 297
+    alone = quality.resample(docs(spark, rows), labels)  # the texts without words take no part in either
+    assert {r["doc_id"] for r in kept.collect()} == {r["doc_id"] for r in alone.where("kept").collect()}
+
+
+def brute_weights(rows, labels, sample=20_000, buckets=1 << 13, smooth=0.02, seed=17):
+    """Log weight and key of each row, from the definitions."""
+    import math
+
+    import xxhash
+
+    h = xxhash.xxh3_64_intdigest
+    def grams(text):
+        t = [h(x) for x in re.findall(rb"[a-z0-9\x80-\xff]+|[^\sa-z0-9\x80-\xff]+", (text or "").encode().lower())]
+        pairs = []
+        for a, b in zip(t, t[1:]):
+            p = (a * 0x9E3779B97F4A7C15 + b) % (1 << 64)
+            pairs.append(2 * buckets if a == b else (p ^ p >> 31) % buckets + buckets)
+        return [x % buckets for x in t] + pairs
+
+    fitted = {i for i in {i for i, q in labels if i is not None and q == 1} if h(f"{seed}:{i}".encode()) % 5}
+    raw, good = [0] * (2 * buckets + 1), [0] * (2 * buckets + 1)
+    for i, t in rows:
+        for g in grams(t):
+            raw[g] += 1
+            good[g] += i in fitted
+    ratio = {}
+    for low, high in ((0, buckets), (buckets, 2 * buckets + 1)):
+        n, m = sum(raw[low:high]) + 0.5 * (high - low), max(1, sum(good[low:high]))
+        for g in range(low, high):
+            p = (raw[g] + 0.5) / n
+            ratio[g] = math.log((1 - smooth) * good[g] / m + smooth * p) - math.log(p)
+    out = []
+    for i, t in rows:
+        f = grams(t)
+        u = ((h(f"g{seed}:{i}".encode()) >> 11) + 0.5) / (1 << 53)
+        w = math.fsum(ratio[g] for g in f) if f else None
+        out.append((i, w, None if w is None else w - math.log(-math.log(u))))
+    return out
+
+
+def test_quality_equals_the_definitions(spark):
+    rnd = random.Random(11)
+    rows = [(i, " ".join(rnd.choice(["ab", "cd!", "ef, ef", "Gé", "x1 $$"]) for _ in range(rnd.randint(0, 30)))) for i in range(200)]
+    rows += [(7, "another text of seven"), (None, "ab cd"), (300, None), (301, " "), (302, "ab " * 30_000)]
+    labels = [(i, int(i % 3 > 0)) for i in range(120)] + [(None, 1), (5, None)]
+    want = brute_weights(rows, labels)
+    table = spark.createDataFrame([(*r, 0) for r in labels], "doc_id long, quality int, toxic int")
+    for k in (None, 0, 10, 500):
+        got = quality.resample(docs(spark, rows), table, k=k).collect()
+        key = lambda r: (str(r[0]), -1e18 if r[1] is None else r[1])
+        for r, w in zip(sorted(map(tuple, got), key=key), sorted(want, key=key), strict=True):
+            assert r[0] == w[0] and (r[1] is None) == (w[1] is None)
+            assert w[1] is None or (r[1] == pytest.approx(w[1], rel=1e-9, abs=1e-9) and r[2] == pytest.approx(w[2], rel=1e-9, abs=1e-9))
+        if k is not None:
+            keys = sorted((w[2] for w in want if w[2] is not None), reverse=True)
+            cut = keys[min(k, len(keys)) - 1] if k else float("inf")
+            assert sorted(str(r["doc_id"]) for r in got if r["kept"]) == sorted(str(w[0]) for w in want if w[2] is not None and w[2] >= cut - 1e-9)
 
 
 def test_quality_edges(spark):
@@ -216,15 +281,30 @@ def test_gumbel_keys_sample_in_proportion():
 
 def test_language_network(spark, sf):
     table = spark.read.parquet(f"{sf}/documents.parquet")
-    net = language_id.train(table, sample=400)
+    net = language_id.train(table, per_language=100)
     rows = language_id.predict(table, net).join(table.select("doc_id", "lang"), "doc_id").where("held_out").collect()
     assert sum(r["lang"] == r["lang_pred"] for r in rows) >= 0.9 * len(rows) and all(0 <= r["score"] <= 1 for r in rows)
     assert all(r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 3 == 1) for r in rows)
     odd = {r["doc_id"]: r for r in language_id.predict(docs(spark, AWKWARD), net).collect()}
     assert all(odd[i]["lang_pred"] == "und" and odd[i]["score"] == 0 for i in (5, 6, 7, 11)) and odd[13]["lang_pred"] in net.labels
     assert language_id.predict(docs(spark, []), net).count() == 0
-    kept = {r["doc_id"] for r in language_id.select(docs(spark, AWKWARD), least=0.0).collect()}
-    assert kept <= {8, 9, 10, 12, 13, 14, 15, 16, None}
+    long = [(13, LONG), (12, AWKWARD[7][1])]
+    rows = language_id.predict(docs(spark, long), net).collect()
+    for (_, text), r in zip(long, rows, strict=True):  # every window of the whole text, one by one
+        raw = text.encode()
+        p = np.mean([net.windows_probabilities(language_id.windows(raw[at : at + 256], 256))[0].astype(float) for at in range(0, len(raw), 256)], axis=0)
+        assert r["lang_pred"] == net.labels[p.argmax()] and r["score"] == pytest.approx(p.max(), abs=1e-5)
+
+
+def test_training_reads_whole_texts_and_each_language(spark):
+    head = "the same heading in front of every text " * 40
+    rows = [(i, head + ("ouvre la porte maintenant " if i % 2 else "öffne jetzt bitte die tür ") * 300, "fr" if i % 2 else "de") for i in range(60)]
+    rows += [(100 + i, "otra lengua muy rara aquí", "es") for i in range(6)] + [(200 + i, "a copy that stands everywhere", "en") for i in range(300)]
+    some = language_id.training_windows(docs(spark, rows), per_language=5, languages=9, per_text=2, length=256)
+    assert {y for _, y in some} == {"fr", "de", "es", "en"} and sum(y == "en" for _, y in some) == 1 and sum(y == "fr" for _, y in some) <= 10
+    assert any(b"porte" in w for w, _ in some) and any("tür".encode() in w for w, _ in some)
+    assert {y for _, y in language_id.training_windows(docs(spark, rows), 5, 1, 2, 256)} == {"en"}
+    assert len(language_id.drawn_windows(b"x" * 10_000, 256, 3, 1)) == 3 and language_id.drawn_windows(b"ab", 256, 3, 1) == [b"ab"]
 
 
 def test_language_without_training_rows(spark):
@@ -313,6 +393,53 @@ def test_dropout_queries(spark):
     assert merge_dropout.round_trip(docs(spark, [])).count() == 0
 
 
+def plain_agenda(v, segments, key, rate):
+    """Ids of a text's segments from the definition alone: agenda and keyed hash."""
+    m64, piece_, place_, mix_ = (1 << 64) - 1, 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93
+
+    def scrambled(x):
+        x = x * mix_ & m64
+        return (x ^ x >> 32) * mix_ & m64
+
+    out = []
+    for n, segment in enumerate(segments, 1):
+        base = key + n * piece_ & m64
+        base = scrambled(base)
+        base ^= base >> 32
+        symbols = [(c, i) for i, c in enumerate(segment)]
+        skipped = set()
+        while True:
+            best = None
+            for j, ((a, i), (b, _)) in enumerate(zip(symbols, symbols[1:])):
+                if a + b in v.ids and (a, b, i) not in skipped and (best is None or v.rank[a + b][0] < best[0]):
+                    best = v.rank[a + b][0], j
+            if best is None:
+                break
+            j = best[1]
+            (a, i), (b, _) = symbols[j : j + 2]
+            if scrambled(base ^ (v.ids[a + b] * piece_ + i * place_ & m64)) >> 11 < int(rate * (1 << 53)):
+                skipped.add((a, b, i))
+                continue
+            symbols[j : j + 2] = [(a + b, i)]
+        for s, _ in symbols:
+            out += [v.ids[s]] if s in v.ids else [v.bytes_[x] for x in s.encode()]
+    return out
+
+
+@pytest.mark.parametrize("rate", [0.1, 0.5])
+def test_dropout_equals_a_plain_agenda(pieces, rate):
+    v, _ = pieces
+    rnd = random.Random(6)
+    words = ["the", "tokenization", "information,", "naïve", "中文", "internationalization", "5731", "\n", "aaaaaaa"]
+    texts = [" ".join(rnd.choice(words) for _ in range(30)) for _ in range(40)] + ["", " lead", "x  y"]
+    e = merge_dropout.MergeDropout(v, rate, 3, 0)
+    keys = e.keys(list(range(len(texts))), pa.array(texts))
+    got = [np.frombuffer(x, "<u4").tolist() for x in e.encode(pa.array(texts), keys=keys)]
+    segments = e._pieces(pa.array(texts)).to_pylist()
+    assert ["".join(s).replace("▁", " ") for s in segments] == [" " + t if t else "" for t in texts]
+    assert got == [plain_agenda(v, s, int(k), rate) for s, k in zip(segments, keys, strict=True)]
+
+
 def test_dropout_draws_every_occurrence_anew(spark, pieces):
     v, _ = pieces
     table = docs(spark, [(i, "tokenization " * 50) for i in range(40)] + [(None, "tokenization"), (None, "tokenization tokenization")])

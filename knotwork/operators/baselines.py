@@ -23,7 +23,7 @@ from ..plans import planner
 from ..plans.by_join import v
 from ..plans.program import LoopProgram, compile_program
 from .graph import GraphStore
-from .mine import count
+from .mine import count, quotient
 
 
 def topological_order(p: Pattern, model: cost.ModelGraph = cost.ModelGraph()) -> Perm:
@@ -40,7 +40,7 @@ def topological(store: GraphStore, pattern: str | Pattern, executor: str | None
     """One row: mappings, multiplicity, cnt."""
     program = topological_program(pattern)
     met = planner.counted(store, program, executor or planner.choose_executor(store, program))
-    return met.select("mappings", F.lit(program.multiplicity).cast("long").alias("multiplicity"), (F.col("mappings") / program.multiplicity).cast("long").alias("cnt"))
+    return met.select("mappings", F.lit(program.multiplicity).cast("long").alias("multiplicity"), quotient("mappings", program.multiplicity).alias("cnt"))
 
 
 def clique_pruned(store: GraphStore, k: int) -> DataFrame:
@@ -78,7 +78,7 @@ def ablation(oriented: GraphStore, plain: GraphStore, pattern: str | Pattern) ->
                 rows.append(
                     counted(store, program, scan_half=scan).select(
                         F.lit(form).alias("bounds"), F.lit(store.oriented).alias("oriented"), F.lit(scan).alias("bounded_scan"),
-                        "mappings", (F.col("mappings") / program.multiplicity).cast("long").alias("cnt"),
+                        "mappings", quotient("mappings", program.multiplicity).alias("cnt"),
                     )
                 )
     return reduce(DataFrame.unionByName, rows)

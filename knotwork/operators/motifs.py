@@ -20,6 +20,7 @@ from ..plans.by_join import v
 from ..plans.program import LoopProgram, TrieNode, compile_program, merge, near_best
 from ..scratch import stored
 from .graph import GraphStore
+from .mine import quotient
 
 COUNTS = "k int, pattern string, edges int, autos long, cnt long"
 
@@ -30,7 +31,7 @@ def _table(spark: SparkSession, programs: list[LoopProgram], rows: DataFrame) ->
     meta = spark.createDataFrame(names, "slot int, k int, pattern string, edges int, autos long, multiplicity long")
     total = rows.groupBy("slot").agg(F.sum("mappings").alias("mappings"))
     out = F.broadcast(meta).join(total, "slot", "left")  # one row a pattern
-    return out.select("k", "pattern", "edges", "autos", (F.coalesce("mappings", F.lit(0)) / F.col("multiplicity")).cast("long").alias("cnt"))
+    return out.select("k", "pattern", "edges", "autos", quotient(F.coalesce("mappings", F.lit(0).cast("long")), "multiplicity").alias("cnt"))
 
 
 def _autos(p: Pattern) -> int:
@@ -84,11 +85,11 @@ def by_kernel_trie(store: GraphStore, root: TrieNode, programs: list[LoopProgram
     import numpy as np
     import pyarrow as pa
 
-    shared = store.spark.sparkContext.broadcast(by_kernel.csr(store))
+    lists = by_kernel.shared(store)
     n = len(programs)
 
     def run(batches):
-        search = by_kernel.Search(*shared.value, programs[0])
+        search = by_kernel.Search(*lists.value, programs[0])
         total = np.zeros(n, np.int64)
 
         def deeper(nodes: list[TrieNode], chosen: list[int]) -> None:

@@ -14,10 +14,27 @@ def subtract(a: Column | str, b: Column | str) -> Column:
     return F.array_except(a, b)
 
 
+def reached(a: Column, limit: Column, inclusive: bool = False) -> Column:
+    """How many ids of a sorted array lie below ``limit`` (or at it), by binary search:
+    as many steps as the array's length has bits, whatever lies beyond the bound."""
+    turns = F.sequence(F.lit(1), F.greatest(F.ceil(F.log2(F.size(a) + 1)).cast("int"), F.lit(1)))
+    pair = lambda low, high: F.struct(low.alias("low"), high.alias("high"))
+
+    def halve(s: Column, _: Column) -> Column:
+        mid = F.call_function("div", s["low"] + s["high"], F.lit(2)).cast("int")
+        at = F.get(a, mid)
+        return F.when(s["low"] >= s["high"], s).when((at <= limit) if inclusive else (at < limit), pair(mid + 1, s["high"])).otherwise(pair(s["low"], mid))
+
+    return F.aggregate(turns, pair(F.lit(0), F.size(a)), halve, lambda s: s["low"])
+
+
 def bounded(a: Column | str, limit: Column, direction: str = "down") -> Column:
-    """The part of a sorted array within a bound."""
+    """The part of a sorted array within a bound: a slice found by binary search, so ids
+    beyond the bound are neither tested nor copied."""
     a = F.col(a) if isinstance(a, str) else a
-    return F.filter(a, (lambda x: x < limit) if direction == "down" else (lambda x: x > limit))
+    if direction == "down":
+        return F.slice(a, F.lit(1), reached(a, limit))
+    return F.slice(a, reached(a, limit, True) + 1, F.size(a))
 
 
 def common_neighbours(edges: DataFrame, pairs: DataFrame) -> DataFrame:

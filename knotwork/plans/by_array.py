@@ -1,9 +1,10 @@
 """Programs over adjacency arrays.
 
 A prefix carries the sorted neighbour arrays its later levels read. Bounds cut the
-first array before anything is intersected, so refused ids are never touched, and
-the last level is counted by array size without being listed. For graphs whose
-largest list fits a row comfortably; the planner sends hub graphs to the joins.
+arrays by binary search before anything is intersected, so ids beyond a bound are never
+touched, and the last level is counted by array size without being listed. For graphs
+whose largest list fits a row comfortably: longer lists are refused, and the planner
+sends hub graphs to the joins.
 """
 
 from __future__ import annotations
@@ -11,23 +12,26 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..operators import setops
 from ..operators.graph import GraphStore, adjacency
 from .by_join import v
 from .program import Level, LoopProgram
 
 
-def lists(store: GraphStore) -> DataFrame:
-    """(id, nbrs): one sorted array a vertex."""
-    return adjacency(store.pairs, block=1 << 62).select(F.col("src").alias("id"), "nbrs")
+#: Longest neighbour list that a row carries.
+DEGREE = 20_000
 
 
-def _within(limit: Column, direction: str):
-    return (lambda x: x < limit) if direction == "down" else (lambda x: x > limit)
+def lists(store: GraphStore) -> DataFrame:
+    """(id, nbrs): one sorted array a vertex; refuses graphs with longer lists."""
+    if store.max_degree > DEGREE:
+        raise ValueError(f"a list of {store.max_degree} neighbours exceeds the arrays' limit of {DEGREE}; use the joins")
+    return adjacency(store.pairs, block=1 << 62).select(F.col("src").alias("id"), "nbrs")
 
 
 def _bounded(array: Column, level: Level, direction: str) -> Column:
     for b in level.below:
-        array = F.filter(array, _within(F.col(v(b)), direction))
+        array = setops.bounded(array, F.col(v(b)), direction)
     return array
 
 
@@ -35,9 +39,9 @@ def candidates(level: Level, direction: str = "down") -> Column:
     """The level's candidate array from the arrays n0, n1, ... of the prefix."""
     out = _bounded(F.col(f"n{level.anchors[0]}"), level, direction)
     for a in level.anchors[1:]:
-        out = F.array_intersect(out, F.col(f"n{a}"))
+        out = F.array_intersect(out, _bounded(F.col(f"n{a}"), level, direction))
     for x in level.excluded:
-        out = F.array_except(out, F.col(f"n{x}"))
+        out = F.array_except(out, _bounded(F.col(f"n{x}"), level, direction))
     if level.distinct:
         out = F.array_except(out, F.array(*[F.col(v(g)) for g in level.distinct]))
     return out

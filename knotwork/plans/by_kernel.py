@@ -1,16 +1,19 @@
 """Programs as nested loops over a broadcast compressed adjacency.
 
 For graphs that fit one executor: the driver reads the edges only after a check of
-their number, broadcasts two arrays, and tasks take ranges of root vertices. Sorted
+their number and broadcasts two arrays, once a stored graph; the arrays of the graphs
+used longest ago are freed on driver and executors. Tasks take ranges of roots. Sorted
 lists are cut at the bound by binary search before they are intersected.
 """
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -26,11 +29,32 @@ def csr(store: GraphStore, limit: int = LIMIT) -> tuple[np.ndarray, np.ndarray]:
     """(starts, neighbours) with ids 0..n-1; refuses graphs beyond the limit."""
     if 2 * store.m > limit:
         raise ValueError(f"{2 * store.m} directed edges exceed the kernel's limit of {limit}")
-    t = store.pairs.toArrow()
+    t = store.pairs.select(F.col("src").cast("int"), F.col("dst").cast("int")).toArrow()
     src, dst = t.column("src").to_numpy(), t.column("dst").to_numpy()
     order = np.lexsort((dst, src))
     starts = np.searchsorted(src[order], np.arange(store.n + 1))
-    return starts, dst[order]
+    return starts, dst[order].astype(np.int64)
+
+
+#: Broadcast graphs of this process, the latest last, and how many may stay.
+_shared: dict[tuple[str, str], Broadcast] = {}
+KEPT = 4
+
+
+def shared(store: GraphStore, limit: int = LIMIT) -> Broadcast:
+    """The graph's broadcast arrays, made once; beyond ``KEPT`` graphs the one used longest
+    ago leaves the executors. A plan that still needs it fetches it from the driver
+    again, and the driver's copy goes with the last such plan."""
+    sc = store.spark.sparkContext
+    key = (sc.applicationId, store.path)
+    if 2 * store.m > limit or key not in _shared:
+        made = sc.broadcast(csr(store, limit))
+        for old in [k for k in _shared if k[0] != sc.applicationId] + list(_shared)[: max(0, len(_shared) + 1 - KEPT)]:
+            if (gone := _shared.pop(old, None)) is not None and old[0] == sc.applicationId:
+                gone.unpersist()  # executors forget it; a plan that still needs it fetches it again
+        _shared[key] = made
+    _shared[key] = _shared.pop(key)
+    return _shared[key]
 
 
 def _inside(sorted_a: np.ndarray, sorted_b: np.ndarray) -> np.ndarray:
@@ -155,10 +179,10 @@ class Search:
 
 def counted(store: GraphStore, program: LoopProgram, limit: int = LIMIT) -> DataFrame:
     """One row: mappings."""
-    shared = store.spark.sparkContext.broadcast(csr(store, limit))
+    lists = shared(store, limit)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        search = Search(*shared.value, program)
+        search = Search(*lists.value, program)
         total = sum(search.fast_count(u) for b in batches for u in b.column(0).to_pylist())
         yield pa.RecordBatch.from_pydict({"mappings": [total]})
 
@@ -166,28 +190,31 @@ def counted(store: GraphStore, program: LoopProgram, limit: int = LIMIT) -> Data
 
 
 def counted_many(store: GraphStore, programs: list[LoopProgram], early_exit: bool = True, limit: int = LIMIT) -> DataFrame:
-    """(slot, mappings, touched) of several programs in one pass over the roots."""
-    shared = store.spark.sparkContext.broadcast(csr(store, limit))
+    """(slot, mappings, touched, seconds) of several programs in one pass over the roots;
+    ``seconds`` is the tasks' processor time on each."""
+    lists = shared(store, limit)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        searches = [Search(*shared.value, p, early_exit) for p in programs]
-        total = [0] * len(programs)
+        searches = [Search(*lists.value, p, early_exit) for p in programs]
+        total, seconds = [0] * len(programs), [0.0] * len(programs)
         for b in batches:
-            for u in b.column(0).to_pylist():
-                for i, search in enumerate(searches):
-                    total[i] += search.count(u)
-        yield pa.RecordBatch.from_pydict({"slot": pa.array(range(len(programs)), pa.int32()), "mappings": total, "touched": [s.touched for s in searches]})
+            roots = b.column(0).to_pylist()
+            for i, search in enumerate(searches):
+                start = time.process_time()
+                total[i] += sum(map(search.count, roots))
+                seconds[i] += time.process_time() - start
+        yield pa.RecordBatch.from_pydict({"slot": pa.array(range(len(programs)), pa.int32()), "mappings": total, "touched": [s.touched for s in searches], "seconds": seconds})
 
-    every = _roots(store).mapInArrow(run, "slot int, mappings long, touched long")
-    return every.groupBy("slot").agg(F.sum("mappings").alias("mappings"), F.sum("touched").alias("touched"))
+    every = _roots(store).mapInArrow(run, "slot int, mappings long, touched long, seconds double")
+    return every.groupBy("slot").agg(*[F.sum(c).alias(c) for c in ("mappings", "touched", "seconds")])
 
 
 def mappings(store: GraphStore, program: LoopProgram, limit: int = LIMIT) -> DataFrame:
-    spark, names = store.spark, [v(i) for i in range(program.k)]
-    shared = spark.sparkContext.broadcast(csr(store, limit))
+    names = [v(i) for i in range(program.k)]
+    lists = shared(store, limit)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        search = Search(*shared.value, program)
+        search = Search(*lists.value, program)
         for b in batches:
             for u in b.column(0).to_pylist():
                 for rows in search.listing([u]):

@@ -9,10 +9,6 @@ from ..operators.graph import GraphStore
 from . import by_array, by_join, by_kernel, by_sql
 from .program import LoopProgram
 
-#: Largest neighbour list that the array executor carries in a row.
-ARRAY_DEGREE = 20_000
-
-
 #: Most directed edges for the kernel by number of labels: its two innermost loops run
 #: at once, so three labels cost one gather a vertex and four one a pair.
 KERNEL_EDGES = {3: 8_000_000, 4: 1_000_000}
@@ -25,7 +21,7 @@ def choose_executor(store: GraphStore, program: LoopProgram, mode: str = "count"
     short lists and few levels, else ``join``."""
     if 2 * store.m <= KERNEL_EDGES.get(program.k, KERNEL_EDGES_MORE) and store.max_degree <= KERNEL_DEGREE:
         return "kernel"
-    if store.max_degree <= ARRAY_DEGREE and program.k <= 4 and mode == "count":
+    if store.max_degree <= by_array.DEGREE and program.k <= 4 and mode == "count":
         return "array"
     return "join"
 

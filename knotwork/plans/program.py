@@ -96,15 +96,15 @@ def compile_program(p: Pattern, order: Perm | None = None, form: str = "min", di
 _cache: dict[tuple, tuple[LoopProgram, float]] = {}
 
 
-def compile_cached(p: Pattern, form: str = "min", model: cost.ModelGraph | None = None) -> tuple[LoopProgram, float]:
+def compile_cached(p: Pattern, form: str = "min", model: cost.ModelGraph | None = None, direction: str = "down", induced: bool = True) -> tuple[LoopProgram, float]:
     """Just-in-time compilation: the program and the seconds it took (0 when an
     isomorphic pattern was compiled before)."""
     c = canonical(Pattern(p.k, p.edge_mask))
-    key = (c.k, c.edge_mask, form, model)
+    key = (c.k, c.edge_mask, form, model, direction, induced)
     if key in _cache:
         return _cache[key][0], 0.0
     start = time.perf_counter()
-    program = compile_program(c, form=form, model=model)
+    program = compile_program(c, None, form, direction, induced, model)
     _cache[key] = (program, time.perf_counter() - start)
     return _cache[key]
 

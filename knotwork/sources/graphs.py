@@ -122,8 +122,10 @@ def uniform(spark: SparkSession, n: int, p: float, seed: int = 1) -> DataFrame:
     t = F.col("id")
     j = F.floor((1 + F.sqrt(1 + 8 * t.cast("double"))) / 2).cast("long")
     row = spark.range(n * (n - 1) // 2).withColumn("j", j)
-    row = row.withColumn("j", F.when(F.col("j") * (F.col("j") - 1) / 2 > t, F.col("j") - 1).otherwise(F.col("j")))  # rounding
-    i = (t - F.col("j") * (F.col("j") - 1) / 2).cast("long")
+    # The square root of a large number is rounded; whole numbers settle it.
+    below = F.expr("j * (j - 1) div 2")
+    row = row.withColumn("j", F.when(below > t, F.col("j") - 1).when(below + F.col("j") <= t, F.col("j") + 1).otherwise(F.col("j")))
+    i = t - below
     keep = F.pmod(F.xxhash64(F.lit(seed), t), F.lit(1 << 30)) < int(p * (1 << 30))
     return row.where(keep).select(i.alias("u"), F.col("j").alias("v"))
 

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from ..functions.pattern import Pattern, parse
 from ..operators.graph import normalise
 from ..plans.program import LoopProgram, compile_program
-from ..scratch import stored
+from ..scratch import exists, stored
 
 EDGE = "src long, dst long"
 
@@ -70,13 +70,9 @@ class Counter:
         self.program = compile_program(self.pattern)
 
     def _read(self, kind: str, schema: str, before: int | None = None) -> DataFrame:
-        try:
-            all_ = self.spark.read.schema(schema + ", batch long").parquet(f"{self.path}/{kind}")
-            all_.limit(0).collect()
-        except Exception as e:
-            if "PATH_NOT_FOUND" not in str(e):
-                raise
+        if not exists(self.spark, f"{self.path}/{kind}"):
             return self.spark.createDataFrame([], schema)
+        all_ = self.spark.read.schema(schema + ", batch long").parquet(f"{self.path}/{kind}")
         if before is not None:
             all_ = all_.where(F.col("batch") < before)
         return all_.drop("batch")

@@ -29,7 +29,8 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
             break
         # Large star: every larger neighbour v of u hangs on the smallest in u's star.
         both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("m", "a"))
+        # Stored, so that adaptive execution can split the centre of a large star.
+        low = stored(both.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("m", "a")), "lowest")
         large = both.where("b > a").join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         # Small star: u and its smaller neighbours hang on the smallest of them.
         small = large.groupBy("a").agg(F.min("b").alias("m"))

@@ -94,28 +94,148 @@ SELECT CAST(3 AS INTEGER) AS k, 'wedge' AS pattern, CAST(2 AS INTEGER) AS edges,
 UNION ALL SELECT 3, 'triangle', 3, 6, tri.n FROM tri"""
 
 
-def grid(g: str, pattern: str) -> str:
-    """Every cell of the ablation: the count, and mappings by the form's factor."""
+def grid(g: str, pattern: str, root: bool) -> str:
+    """Every cell of the ablation: the count, and mappings by the form's factor. ``root``
+    says whether the chosen order starts with two labels that can be exchanged."""
     p = parse(pattern)
-    from .functions.cost import choose
-    from .functions.symmetry import mappings_per_instance
-
-    o = choose(p)
-    forms = ", ".join(f"('{f}', {mappings_per_instance(p, o, f)})" for f in ("none", "root", "full", "min"))
-    return f"{graph(g)}, c AS (SELECT count(*) // {autos(p)} AS n FROM {matching(p)}) SELECT f.bounds, o.oriented, s.bounded_scan, c.n * f.factor AS mappings, c.n AS cnt FROM c, (VALUES {forms}) f(bounds, factor), (VALUES (false), (true)) o(oriented), (VALUES (false), (true)) s(bounded_scan)"
-
+    n = autos(p)
+    forms = ", ".join(f"('{f}', {x})" for f, x in (("none", n), ("root", n // 2 if root else n), ("full", 1), ("min", 1)))
+    return f"{graph(g)}, c AS (SELECT count(*) // {n} AS n FROM {matching(p)}) SELECT f.bounds, o.oriented, s.bounded_scan, c.n * f.factor AS mappings, c.n AS cnt FROM c, (VALUES {forms}) f(bounds, factor), (VALUES (false), (true)) o(oriented), (VALUES (false), (true)) s(bounded_scan)"
 
-def redundancy(g: str, pattern: str) -> str:
-    from .functions.symmetry import root_exchangeable
-    from .operators.baselines import topological_order
 
+def redundancy(g: str, pattern: str, root: bool) -> str:
+    """Mappings of each form; ``root`` as in ``grid``, for the baseline's order."""
     p = parse(pattern)
     n = autos(p)
-    root = n // 2 if root_exchangeable(p, topological_order(p)) else n
-    forms = f"('none', {n}), ('root', {root}), ('full', 1), ('min', 1)"
+    forms = f"('none', {n}), ('root', {n // 2 if root else n}), ('full', 1), ('min', 1)"
     return f"{graph(g)}, c AS (SELECT count(*) // {n} AS n FROM {matching(p)}) SELECT f.bounds, c.n * f.factor AS mappings, c.n AS cnt, CAST(f.factor AS BIGINT) AS factor FROM c, (VALUES {forms}) f(bounds, factor)"
 
 
+# Work measures, from the definitions: bounds by trying every permutation, prefixes as
+# joins over the ranked edges q(src, dst).
+
+RANKED = "r AS MATERIALIZED (SELECT x, row_number() OVER (ORDER BY {by}x) - 1 AS id FROM d), q AS MATERIALIZED (SELECT a.id AS src, b.id AS dst FROM e JOIN r a ON a.x = e.u JOIN r b ON b.x = e.v), l AS MATERIALIZED (SELECT src, list(dst) AS l FROM q GROUP BY src)"
+
+
+def ranked(g: str, oriented: bool = True) -> str:
+    return f"{graph(g)}, {RANKED.format(by='degree DESC, ' if oriented else '')}"
+
+
+def levels(p: Pattern, order: tuple[int, ...], form: str = "min") -> list[dict]:
+    """What each label of an order is joined to, kept apart from, and bounded by."""
+    group = [g for g in permutations(range(p.k)) if all(p.has(g[i], g[j]) for i, j in p.edges)]
+    place, full = {x: i for i, x in enumerate(order)}, []
+    for x in order:
+        full += [(place[x], place[y]) for y in {g[x] for g in group} if y != x]
+        group = [g for g in group if g[x] == x]
+    out = []
+    for i in range(p.k):
+        near = [j for j in range(i) if p.has(order[i], order[j])]
+        above = sorted(u for u, w in full if w == i)
+        out.append({"near": near, "apart": [j for j in range(i) if j not in near], "above": above, "below": above if form == "full" else above[-1:]})
+    return out
+
+
+def prefixes(plan: list[dict], n: int) -> str:
+    """All prefixes of n labels: x0..x(n-1)."""
+    tables, where = ["r r0"], []
+    at = lambda i: f"q{i}.dst" if i else "r0.id"
+    for i, x in enumerate(plan[1:n], 1):
+        tables.append(f"JOIN q q{i} ON q{i}.src = {at(x['near'][0])}")
+        where += [f"EXISTS (SELECT 1 FROM q c WHERE c.src = {at(j)} AND c.dst = {at(i)})" for j in x["near"][1:]]
+        where += [f"NOT EXISTS (SELECT 1 FROM q c WHERE c.src = {at(j)} AND c.dst = {at(i)})" for j in x["apart"]]
+        where += [f"{at(i)} < {at(j)}" for j in x["below"]] + [f"{at(i)} <> {at(j)}" for j in x["apart"]]
+    return f"(SELECT {', '.join(f'{at(i)} AS x{i}' for i in range(n))} FROM {' '.join(tables)}" + (f" WHERE {' AND '.join(where)}" if where else "") + ")"
+
+
+def work_rows(plan: list[dict], half: bool = True) -> str:
+    """level, candidates, kept, checks of the joins: the first list that a bound cuts, or
+    else the first one, gives the candidates."""
+    rows = ["SELECT CAST(0 AS INTEGER) AS level, count(*) AS candidates, count(*) AS kept, CAST(0 AS BIGINT) AS checks FROM r"]
+    for i, x in enumerate(plan[1:], 1):
+        cut = next((j for j in x["near"] if j in x["above"]), None)
+        first = x["near"][0] if cut is None else cut
+        met = f"(SELECT count(*) FROM {prefixes(plan, i)} p JOIN q ON q.src = p.x{first}" + (" AND q.dst < q.src" if half and cut is not None else "") + ")"
+        rows.append(f"SELECT {i}, {met}, (SELECT count(*) FROM {prefixes(plan, i + 1)}), {met} * {len(x['below'])}")
+    return " UNION ALL ".join(rows)
+
+
+def touched_sum(plan: list[dict], bounded: bool = True) -> str:
+    """The list elements that nested loops read: every list a level intersects, and every
+    list it subtracts from what is not yet empty; up to the bound, or whole."""
+    parts = []
+    for i, x in enumerate(plan[1:], 1):
+        cap = f"p.x{x['below'][0]}" if x["below"] else None
+        cut = lambda c, on=cap: f"list_filter({c}, lambda z: z < {on})" if on else c
+        seen = (lambda c: cut(c)) if bounded else (lambda c: c)
+        lists = {j: f"l{j}.l" for j in x["near"] + x["apart"]}
+        both = cut(lists[x["near"][0]])
+        for j in x["near"][1:]:
+            both = f"list_intersect({both}, {lists[j]})"
+        cost = [f"len({seen(lists[j])})" for j in x["near"]]
+        for j in x["apart"]:
+            cost.append(f"CASE WHEN len({both}) > 0 THEN len({seen(lists[j])}) ELSE 0 END")
+            both = f"list_filter({both}, lambda z: NOT list_contains({lists[j]}, z))"
+        joins = " ".join(f"JOIN l l{j} ON l{j}.src = p.x{j}" for j in lists)
+        parts.append(f"coalesce((SELECT sum({' + '.join(cost)}) FROM {prefixes(plan, i)} p {joins}), 0)")
+    return f"CAST({' + '.join(parts)} AS BIGINT)"
+
+
+def classes(p: Pattern) -> list[tuple[int, ...]]:
+    """The least order of each class of valid orders, by trying every permutation."""
+    group = [g for g in permutations(range(p.k)) if all(p.has(g[i], g[j]) for i, j in p.edges)]
+    valid = [o for o in permutations(range(p.k)) if all(any(p.has(o[i], x) for x in o[:i]) for i in range(1, p.k))]
+    return sorted({min(tuple(g[x] for x in o) for g in group) for o in valid})
+
+
+def expected_cost(p: Pattern, order: tuple[int, ...], n: int = 1000, edge: float = 0.005) -> float:
+    """The model's cost of an order; the chance of the bounds by trying every ranking."""
+    plan, total, entries = levels(p, order), 0.0, 1.0
+    for i, x in enumerate(plan):
+        entries *= n * edge ** len(x["near"]) * (1 - edge) ** len(x["apart"])
+        ranks = list(permutations(range(i)))
+        total += entries * sum(all(t[j] > t[m] for m in range(i) for j in plan[m]["below"]) for t in ranks) / len(ranks)
+    return total
+
+
+def letters(order: tuple[int, ...]) -> str:
+    return "".join("abcdefg"[x] for x in order)
+
+
+def orders_table(pattern: str) -> str:
+    p = parse(pattern)
+    rows = sorted((round(expected_cost(p, o), 2), o) for o in classes(p))
+    bound = lambda o: ",".join(f"{letters((o[x['below'][0]],))}>{letters((o[i],))}" for i, x in enumerate(levels(p, o)) if x["below"])
+    return values([(i + 1, letters(o), c, bound(o)) for i, (c, o) in enumerate(rows)], {"rnk": "INTEGER", "ord": "VARCHAR", "cost": "DOUBLE", "bounds": "VARCHAR"})
+
+
+def order_work(g: str, pattern: str) -> str:
+    """ord, predicted, touched, mappings of every class of orders."""
+    p = parse(pattern)
+    rows = [
+        f"SELECT '{letters(o)}' AS ord, CAST({round(expected_cost(p, o), 2)!r} AS DOUBLE) AS predicted, {touched_sum(plan)} AS touched, (SELECT count(*) FROM {prefixes(plan, p.k)}) AS mappings"
+        for o in classes(p) for plan in [levels(p, o)]
+    ]
+    return f"{ranked(g)} {' UNION ALL '.join(rows)}"
+
+
+def order_fit(g: str, pattern: str) -> str:
+    return f"SELECT count(*) AS n, round(corr(predicted, touched) ** 2, 6) AS r2, round(corr(ln(predicted), ln(touched)) ** 2, 6) AS r2_log FROM ({order_work(g, pattern)})"
+
+
+def gain_rows(g: str, patterns: dict[str, str]) -> str:
+    """Mappings and list elements of every pattern (name: order), with and without the
+    renumbering and the bounded scan. The two numberings need a graph clause each."""
+    parts = []
+    for oriented in (False, True):
+        inner = " UNION ALL ".join(
+            f"SELECT '{x}' AS pattern, {str(oriented).lower()} AS oriented, {str(scan).lower()} AS bounded_scan, (SELECT count(*) FROM {prefixes(plan, len(plan))}) AS mappings, {touched_sum(plan, scan)} AS touched"
+            for x, o in patterns.items() for plan in [levels(parse(x), tuple(ord(c) - 97 for c in o))] for scan in (False, True)
+        )
+        parts.append(f"SELECT * FROM ({ranked(g, oriented)} {inner})")
+    return " UNION ALL ".join(parts)
+
+
 def values(rows: list[tuple], columns: dict[str, str]) -> str:
     """Literal rows with typed columns."""
     lit = lambda x: "NULL" if x is None else f"'{x}'" if isinstance(x, str) else repr(x)
@@ -144,5 +264,6 @@ CENSUS_COLUMNS = {"pattern": "VARCHAR", "k": "INTEGER", "autos": "BIGINT", "vali
 # Connected patterns of k labels; their valid and distinct orders.
 TOTALS = [(3, 2), (4, 6), (5, 21), (6, 112), (7, 853)]
 ORDER_TOTALS = [(3, 10, 3), (4, 94, 21), (5, 1314, 315)]
+MORE_TOTALS = [(6, 34182, 9765)]
 
 assert all(name in CATALOG for name, *_ in CENSUS)

@@ -166,11 +166,11 @@ for _k in (3, 4, 5):
 CLIQUE_GRAPHS = ("copart_all", "doc_lines", "user_chain", "emb_knn")
 for _g in CLIQUE_GRAPHS:
     for _k, _p in ((3, "triangle"), (4, "clique_4")):
-        add(f"clique_default_{_k}_{_g}", on(_g, lambda st, k=_k: baselines.clique_default(st, k).select("cnt"), orient=False), oracle.count(_g, _p))
-        add(f"clique_pruned_{_k}_{_g}", on(_g, lambda st, k=_k: baselines.clique_pruned(st, k)), oracle.count(_g, _p))
-        add(f"clique_unoriented_{_k}_{_g}", on(_g, lambda st, p=_p: mine.count(st, p).select("cnt"), orient=False), oracle.count(_g, _p))
+        add(f"clique_default_{_k}_{_g}", on(_g, lambda st, k=_k: baselines.clique_default(st, k).select("cnt"), orient=False), oracle.cliques(_g, _k))
+        add(f"clique_pruned_{_k}_{_g}", on(_g, lambda st, k=_k: baselines.clique_pruned(st, k)), oracle.cliques(_g, _k))
+        add(f"clique_unoriented_{_k}_{_g}", on(_g, lambda st, p=_p: mine.count(st, p).select("cnt"), orient=False), oracle.cliques(_g, _k))
         if f"count_{_p}_{_g}" not in QUERIES:
-            add(f"count_{_p}_{_g}", on(_g, lambda st, p=_p: mine.count(st, p).select("cnt")), oracle.count(_g, _p))
+            add(f"count_{_p}_{_g}", on(_g, lambda st, p=_p: mine.count(st, p).select("cnt")), oracle.cliques(_g, _k))
 add("worst_order_tailed_triangle_copart_s2", on("copart_s2", lambda st: baselines.worst_order(st, "tailed_triangle", "join").select("cnt")), oracle.count("copart_s2", "tailed_triangle"))
 for _p, _g in (("rectangle", "copart_s2"), ("pentagon", "emb_knn"), ("clique_4", "copart_q45")):
     add(f"ablation_{_p}_{_g}", lambda s, sf, p=_p, g=_g: baselines.ablation(store(s, sf, g), store(s, sf, g, False), p), oracle.grid(_g, _p, root=True))

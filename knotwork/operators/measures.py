@@ -16,7 +16,7 @@ from functools import reduce
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import cost, orders
@@ -234,7 +234,11 @@ def orientation_gain(oriented: GraphStore, plain: GraphStore, patterns: list[str
 
 def r_squared(df: DataFrame, x: str = "predicted", y: str = "touched", by: str | None = None) -> DataFrame:
     """n, r2 of the values and r2_log of their logarithms: one row, or one a group."""
-    r, s = F.corr(F.col(x).cast("double"), F.col(y).cast("double")), F.corr(F.log(x), F.log(F.greatest(F.col(y).cast("double"), F.lit(1e-9))))
+    def corr(a: Column, b: Column) -> Column:  # null where one of them never varies
+        return F.try_divide(F.covar_pop(a, b), F.stddev_pop(a) * F.stddev_pop(b))
+
+    a, b = F.col(x).cast("double"), F.col(y).cast("double")
+    r, s = corr(a, b), corr(F.log(a), F.log(F.greatest(b, F.lit(1e-9))))
     return df.groupBy(*([by] if by else [])).agg(F.count("*").alias("n"), F.round(r * r, 6).alias("r2"), F.round(s * s, 6).alias("r2_log"))
 
 

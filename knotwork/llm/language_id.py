@@ -24,6 +24,7 @@ an empty result; other columns are ignored by ``predict`` and pass through ``sel
 
 from __future__ import annotations
 
+import math
 import zlib
 from collections.abc import Iterator
 
@@ -224,13 +225,16 @@ def training_windows(docs: DataFrame, per_language: int, languages: int, per_tex
     d = pick(docs, doc_id="long", lang="string", text="string").where("doc_id is not null and lang is not null and text is not null")
     d = d.where(F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(3)) != 1).withColumn("h", F.xxhash64(F.lit(seed), "text"))
     hashes = stored(d.groupBy("lang", "h").agg(F.count("*").alias("n")), "hashes")
-    common = hashes.groupBy("lang").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "lang").limit(languages).select("lang")
-    rank = F.row_number().over(Window.partitionBy("lang").orderBy("h"))  # every task keeps its first ones only
-    first = hashes.join(F.broadcast(common), "lang").withColumn("r", rank).where(F.col("r") <= per_language)
-    borders = {r["lang"]: r["h"] for r in first.groupBy("lang").agg(F.max("h").alias("h")).collect()}  # a row a language
-    if not borders:
+    found = hashes.groupBy("lang").agg(F.sum("n").alias("n"), F.count("*").alias("texts")).orderBy(F.desc("n"), "lang").limit(languages).collect()
+    if not found:
         return []
-    border = F.create_map(*[F.lit(x) for pair in borders.items() for x in pair])
+    # Hashes are even, so a little more than the wanted share of their range holds enough.
+    share = {r["lang"]: (per_language + 5 * math.sqrt(per_language) + 5) / r["texts"] for r in found}
+    near = {x: min((1 << 63) - 1, int((s - 0.5) * 2.0**64)) if s < 1 else (1 << 63) - 1 for x, s in share.items()}
+    upto = lambda cuts: F.create_map(*[F.lit(x) for pair in cuts.items() for x in pair])[F.col("lang")]
+    rank = F.row_number().over(Window.partitionBy("lang").orderBy("h"))  # over the bounded sample only
+    first = hashes.where(F.col("h") <= upto(near)).withColumn("r", rank).where(F.col("r") <= per_language)
+    borders = {r["lang"]: r["h"] for r in first.groupBy("lang").agg(F.max("h").alias("h")).collect()}  # a row a language
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -241,7 +245,7 @@ def training_windows(docs: DataFrame, per_language: int, languages: int, per_tex
                         column.append(x)
             yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.string()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary())], ["lang", "h", "piece"])
 
-    some = d.where(F.col("h") <= border[F.col("lang")]).select("lang", "h", "text").mapInArrow(tidy(cut), "lang string, h long, piece binary")
+    some = d.where(F.col("h") <= upto(borders)).select("lang", "h", "text").mapInArrow(tidy(cut), "lang string, h long, piece binary")
     return [(bytes(r["piece"]), r["lang"]) for r in some.distinct().orderBy("lang", "h", "piece").collect()]  # the bounded sample
 
 

@@ -315,11 +315,11 @@ def spanning(rows: DataFrame, matcher: type, how: tuple, pivots: int = 32) -> Da
     return links.unionByName(_meet(cross_cells(rows, lone), matcher, how).select("a", "b")).distinct()
 
 
-def confirm(clusters: DataFrame, docs: DataFrame, least: int, width: int = 5, percent: int = 75, block_shingles: int = 1 << 20) -> DataFrame:
+def confirm(clusters: DataFrame, docs: DataFrame, least: int, width: int = 5, percent: int = 75, block_shingles: int = 1 << 17) -> DataFrame:
     """Confirmed links (a, b) that connect exactly what the clusters' full-set links
     connect. ``clusters``: rep, n_shingles, sketch, component, low, mark (the id and the
     hash of the text of a representative)."""
-    mass = stored(clusters.groupBy("component").agg(F.count("*").alias("n"), F.ceil(F.sum("n_shingles") / block_shingles).alias("blocks")), "mass")
+    mass = stored(clusters.groupBy("component").agg(F.count("*").alias("n"), F.least(F.count("*"), F.ceil(F.sum("n_shingles") / block_shingles)).alias("blocks")), "mass")
     placed = clusters.join(mass, "component").select(F.col("component").alias("group"), "rep", "n", "blocks", "sketch", "low", "mark")
     texts = documents(docs).where("doc_id is not null").select(F.col("doc_id").alias("low"), F.xxhash64("text").alias("mark"), "text")
     met = stored(placed.join(texts, ["low", "mark"]).dropDuplicates(["rep"]).drop("low", "mark"), "texts")

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from knotwork import oracle, queries
 from knotwork.functions.pattern import CATALOG, connected_patterns
 from knotwork.functions import orders
-from knotwork.operators import baselines, graph, measures, mine, motifs
+from knotwork.operators import baselines, graph, measures, mine, motifs, setops
 from knotwork.operators.graph import GraphStore
 from knotwork.plans import by_join, planner
 from knotwork.plans.program import compile_program
@@ -145,17 +145,84 @@ def test_waves_sum_to_the_count(part):
     assert sum(one(w, "mappings") for w in planner.waves(part, program, 3)) == GOLDEN["tailed_triangle"]
 
 
-def test_kernel_refuses_large_graphs(part):
+def test_kernel_and_arrays_refuse_large_graphs(part, monkeypatch):
     with pytest.raises(ValueError):
         mine.planner.by_kernel.csr(part, limit=10)
+    monkeypatch.setattr(mine.planner.by_array, "DEGREE", 2)
+    with pytest.raises(ValueError):
+        mine.count(part, "triangle", executor="array")
+
+
+def test_counts_are_whole_above_the_doubles(spark):
+    n = 27_021_597_764_222_979
+    df = spark.createDataFrame([(n,)], "mappings long").select(mine.quotient("mappings", 3).alias("a"), mine.quotient(F.col("mappings"), "mappings").alias("b"))
+    assert tuple(df.first()) == (9_007_199_254_740_993, 1) and int(n / 3) != n // 3
+
+
+def test_bounded_arrays_by_binary_search(spark):
+    rows = [(sorted(set(a)), x) for a in ([], [3], [1, 4, 9], list(range(0, 70, 3)), list(range(128))) for x in (-1, 0, 3, 4, 5, 64, 127, 500)]
+    df = spark.createDataFrame(rows, "a array<long>, x long")
+    got = df.select("a", "x", setops.bounded("a", F.col("x")).alias("down"), setops.bounded("a", F.col("x"), "up").alias("up")).collect()
+    assert all(r["down"] == [i for i in r["a"] if i < r["x"]] and r["up"] == [i for i in r["a"] if i > r["x"]] for r in got)
+
+
+def test_a_run_is_stopped_at_its_limit(spark):
+    slow = lambda: spark.range(0, 10**12, 1, 8).select(F.max(F.xxhash64("id")).alias("cnt"))
+    r = measures.repeated(spark, slow, 3, timeout_s=1.5)
+    assert r["timed_out"] and r["count"] is None
+    r = measures.repeated(spark, lambda: spark.range(5).select(F.count("*").alias("cnt")), 3, timeout_s=60)
+    assert not r["timed_out"] and r["count"] == 5 and r["spread"] >= 0
+
+
+def test_methods_agree_when_timed(spark, sf, part):
+    plain = queries.store(spark, sf, "copart_q45", False)
+    rows = measures.speedups(part, plain, ["rectangle", "house"], repeats=1).collect()
+    rows += measures.clique_ways(part, plain, 3, repeats=1).collect() + measures.orientation_times(part, plain, ["rectangle"], repeats=1).collect()
+    want = {**GOLDEN, "clique_3": GOLDEN["triangle"]}
+    assert all(r["cnt"] == want[r["pattern"]] and r["gain"] > 0 and not r["timed_out"] for r in rows) and len(rows) == 10
+
+
+def test_model_fit_in_time_and_its_interval(part):
+    rows = {r["pattern"]: r for r in measures.model_fit(part, ["tailed_triangle", "rectangle"]).collect()}
+    t = rows["tailed_triangle"]
+    assert t["n"] == 7 and 0 <= t["low"] <= t["r2_log"] <= t["high"] <= 1 and rows["rectangle"]["low"] is None
+
+
+def test_work_of_every_order_equals_sql(part, db):
+    for p in ("house", "bow_tie"):
+        want = {r[0]: r[1:] for r in db.sql(oracle.order_work("copart_q45", p)).fetchall()} if p == "bow_tie" else None
+        got = {r["ord"]: (round(r["predicted"], 2), r["touched"], r["mappings"]) for r in measures.order_work(part, p).collect()}
+        assert want is None or got == want
+        assert set(got) == {oracle.letters(o) for o in oracle.classes(CATALOG[p])} and {x[2] for x in got.values()} == {GOLDEN[p]}
+        assert all(c == round(oracle.expected_cost(CATALOG[p], tuple(ord(x) - 97 for x in o)), 2) for o, (c, *_) in got.items())
+
+
+def test_graphs_on_demand_equal_stored_ones(spark, sf, part):
+    made = GraphStore.on_demand(graphs.from_tables(spark, sf, "copart_q45"))
+    assert (made.n, made.m) == (part.n, part.m) and sorted(made.edges.collect()) == sorted(part.edges.collect())
+    assert one(mine.count(made, "rectangle", executor="join")) == one(mine.count(made, "rectangle", executor="kernel")) == GOLDEN["rectangle"]
+    assert made.clustering() == (GOLDEN["triangle"], GOLDEN["wedge"] + 3 * GOLDEN["triangle"])
+    made.drop()
+
+
+def test_compilation_is_cached_and_sets_agree(spark, part):
+    from knotwork.plans.program import compile_cached
+
+    compile_cached(CATALOG["hexagon"])
+    assert compile_cached(CATALOG["hexagon"])[1] == 0.0 and mine.program_for(part, "a-b,b-c,c-d,d-e,e-f,f-a") is compile_cached(CATALOG["hexagon"])[0]
+    rows = {(r["k"], r["algorithm"]): (r["patterns"], r["orders"]) for r in measures.compile_sets(spark, 4).collect()}
+    assert rows[4, "permutation"] == rows[4, "prefix"] == (6, 94) and rows[4, "distinct"] == (6, 21) and rows[3, "pruned"] == (2, 2)
 
 
-def test_triangle_first_order_meets_fewer_candidates(spark, sf):
-    st = queries.store(spark, sf, "doc_lines")
-    rows = [measures.work(st, compile_program(CATALOG["tailed_triangle"], o)).collect() for o in ((0, 1, 2, 3), (3, 2, 0, 1))]
-    last = [sum(r["candidates"] for r in x) for x in rows]
-    final = [max(x, key=lambda r: r["level"])["kept"] for x in rows]
-    assert final[0] == final[1] and last[0] != last[1]
+def test_the_order_with_the_rarer_prefix_meets_fewer_candidates(spark, sf, part):
+    """Triangle first where paths outnumber triangles; the other way round on the line
+    graph, whose documents form cliques."""
+    for st, fewer in ((part, 0), (queries.store(spark, sf, "doc_lines"), 1)):
+        rows = [measures.work(st, compile_program(CATALOG["tailed_triangle"], o)).collect() for o in ((0, 1, 2, 3), (3, 2, 0, 1))]
+        kept = [next(r["kept"] for r in x if r["level"] == 2) for x in rows]
+        met = [sum(r["candidates"] for r in x) for x in rows]
+        final = [max(x, key=lambda r: r["level"])["kept"] for x in rows]
+        assert final[0] == final[1] and kept[fewer] < kept[1 - fewer] and met[fewer] < met[1 - fewer]
 
 
 def test_plans_have_no_nested_loop_and_prune_the_oriented_half(part):

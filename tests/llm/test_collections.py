@@ -450,3 +450,67 @@ def test_pipeline_stages(spark, sf):
     packed = corpus_pipeline.STAGES[-1][1](spark, docs_, sf).collect()
     assert {r["doc_id"] for r in packed} == set(texts)
     assert [n for n, _ in corpus_pipeline.STAGES] == ["quality classifier", "language ID", "exact dedup", "MinHash near-dedup", "best-fit packing"]
+
+
+def brute_pipeline(rows, labels):
+    """The ids that stay after each of the first four stages, from the definitions."""
+    import xxhash
+
+    from knotwork.llm import exact_dedup, language_id
+
+    from .test_text_operators import brute_weights
+
+    scored = brute_weights(rows, labels)
+    good = {i for i, q in labels if q == 1 and i is not None}
+    held = {i for i in good if xxhash.xxh3_64_intdigest(f"17:{i}".encode()) % 5 == 0}
+    held = held if len(held) >= 20 else good
+    level = np.quantile([w for i, w, _ in scored if i in held and w is not None], 0.001) - 1.0
+    k = sum(w is not None and w >= level for _, w, _ in scored)
+    cut = sorted((key for _, _, key in scored if key is not None), reverse=True)[k - 1]
+    stages = [[r for r, (_, _, key) in zip(rows, scored, strict=True) if key is not None and key >= cut]]
+    stages.append([(i, t) for i, t in stages[-1] if t is not None and language_id.has_letter(t.encode())])
+    first = {}
+    for i, t in sorted(stages[-1]):
+        first.setdefault(exact_dedup.normalise(t.encode()), (i, t))
+    stages.append(sorted(first.values()))
+    component, _ = brute_near(stages[-1])
+    stages.append([(i, t) for i, t in stages[-1] if component[i] == i])
+    return [[i for i, _ in x] for x in stages]
+
+
+def test_pipeline_equals_brute_force(spark, sf):
+    import corpus_pipeline
+    from tokenizers import Tokenizer
+
+    from knotwork.llm.tokenization import tokenizer_path
+
+    table = spark.read.parquet(f"{sf}/documents.parquet")
+    rows = [(r["doc_id"], r["text"]) for r in table.select("doc_id", "text").collect()]
+    labels = [tuple(r) for r in spark.read.parquet(f"{sf}/labels.parquet").select("doc_id", "quality").collect()]
+    want = brute_pipeline(rows, labels)
+    docs_ = table
+    for (name, stage), ids in zip(corpus_pipeline.STAGES[:-1], want, strict=True):
+        docs_ = corpus_pipeline.stored(stage(spark, docs_, sf), "tested")
+        assert docs_.columns == table.columns and sorted(r["doc_id"] for r in docs_.select("doc_id").collect()) == sorted(ids), name
+    packed = corpus_pipeline.pack(spark, docs_, sf).collect()
+    t, text = Tokenizer.from_file(tokenizer_path("byte_bpe_50k.json")), dict(rows)
+    whole = {i: len(t.encode(text[i], add_special_tokens=False).ids) + 1 for i in want[-1]}
+    found, ends = {}, {}
+    for r in packed:
+        found[r["doc_id"]] = found.get(r["doc_id"], 0) + r["length"]
+        ends.setdefault(r["sequence_id"], []).append((r["offset"], r["offset"] + r["length"]))
+    assert found == whole
+    assert all(sorted(x)[0][0] == 0 and max(b for _, b in x) == sum(b - a for a, b in x) <= 2048 for x in ends.values())
+
+
+def test_pipeline_of_awkward_and_empty_tables(spark, tmp_path):
+    import corpus_pipeline
+
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    for name, rows in (("awkward", AWKWARD + [(8, "another text of eight"), (None, "no id at all here")]), ("empty", [])):
+        folder = str(tmp_path / name)
+        docs(spark, rows).coalesce(1).write.parquet(f"{folder}/documents.parquet")
+        labels.write.parquet(f"{folder}/labels.parquet")
+        got = {r["doc_id"] for r in corpus_pipeline.run(spark, folder).collect()}
+        # No letter: 5, 6, 7 (and 11); copies: 10 of 9, 16 of 15; near copy: 14 of 13.
+        assert got == ({8, 9, 12, 13, 15, None} if rows else set())

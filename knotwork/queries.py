@@ -48,6 +48,10 @@ def on(g: str, f: Callable[[GraphStore], DataFrame], orient: bool = True) -> Que
 
 GRAPHS = ("copart_q45", "copart_s2", "copart_all", "doc_lines", "cust_supp", "cust_nation", "user_chain", "emb_knn")
 
+# The line graph is defined over lines of 2 to 50 documents, so links by more frequent lines
+# are no part of it; ``doc_lines_all`` has every line, ``graph_doc_lines_all_members`` the
+# same links without their squares.
+
 # Graph building, degrees, renumbering, adjacency.
 for _g in (*GRAPHS, "doc_lines_all"):
     add(

@@ -247,11 +247,11 @@ add(
 
 # Experiments in time. The counts beside them are checked by the queries above.
 for _g, _names in CELLS.items():
-    add(f"speedup_{_g}", lambda s, sf, g=_g, names=_names: measures.speedups(store(s, sf, g), store(s, sf, g, False), list(names), repeats=1, timeout_s=300.0))
+    add(f"speedup_{_g}", lambda s, sf, g=_g, names=_names: measures.speedups(store(s, sf, g), store(s, sf, g, False), list(names), repeats=1, timeout_s=60.0))
 for _g in CLIQUE_GRAPHS:
-    add(f"clique_ways_{_g}", lambda s, sf, g=_g: measures.clique_ways(store(s, sf, g), store(s, sf, g, False), 3, repeats=1, timeout_s=300.0).unionByName(measures.clique_ways(store(s, sf, g), store(s, sf, g, False), 4, repeats=1, timeout_s=300.0)))
+    add(f"clique_ways_{_g}", lambda s, sf, g=_g: measures.clique_ways(store(s, sf, g), store(s, sf, g, False), 3, repeats=1, timeout_s=60.0).unionByName(measures.clique_ways(store(s, sf, g), store(s, sf, g, False), 4, repeats=1, timeout_s=60.0)))
 for _g, _names in (("copart_s2", ("rectangle", "pentagon", "bow_tie")), ("doc_lines", ("rectangle", "pentagon", "bow_tie")), ("cust_supp", ("triangle",))):
-    add(f"orientation_time_{_g}", lambda s, sf, g=_g, names=_names: measures.orientation_times(store(s, sf, g), store(s, sf, g, False), list(names), repeats=1, timeout_s=300.0))
+    add(f"orientation_time_{_g}", lambda s, sf, g=_g, names=_names: measures.orientation_times(store(s, sf, g), store(s, sf, g, False), list(names), repeats=1, timeout_s=60.0))
 for _g in GRAPHS:
     add(f"reindex_time_{_g}", lambda s, sf, g=_g: measures.reindex_time(graphs.from_tables(s, sf, g), g))
 for _g in ("copart_q45", "doc_lines", "cust_supp"):

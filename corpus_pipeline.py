@@ -20,8 +20,9 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def keep_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with a recognised language (those without a letter go)."""
-    return language_id.select(docs)
+    """Documents with a recognised language: one that the network finds likelier than all
+    others together. Those without a letter go."""
+    return language_id.select(docs, least=0.5)
 
 
 def keep_exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
